@@ -8,9 +8,12 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.ship import ship
+from . import language_codes, toxicity_pu
 from .bin_slack import pack_documents
 from .bpe_prefix import encode_documents
 from .external_shuffle import external_shuffle, record_size
+from .folds import held_out, learns
 from .token_counts import count_tokens
 
 TOKENIZER = public_tokenizers.path("byte_bpe_50k.json")
@@ -19,9 +22,17 @@ PATTERN = public_tokenizers.PATTERN
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_nonnegative_pu(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity_pu.fit(docs, table(spark, sf_dir, "labels"), learns("doc_id"))
+    scored = toxicity_pu.score(docs, model)
+    return scored.select("doc_id", held_out("doc_id").alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
 def op3_external_shuffle(spark: SparkSession, sf_dir: str) -> DataFrame:
     shuffled = external_shuffle(table(spark, sf_dir, "documents"), shards=8, seed=17)
     crc = F.crc32(F.coalesce(F.encode("text", "UTF-8"), F.lit(b"")))
@@ -41,6 +52,12 @@ def op9_bin_slack(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(table(spark, sf_dir, "documents"), TOKENIZER, RANKS, PATTERN, ids=False)
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_external_shuffle, op6_overlap_resync, op7_prefix_bpe, op9_bin_slack)}
+def op10_output_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    found = language_codes.predict(docs, language_codes.fit(docs, learns("doc_id")))
+    return found.select("doc_id", held_out("doc_id").alias("held_out"), "lang_pred", "score", "ambiguous")
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_nonnegative_pu, op3_external_shuffle, op6_overlap_resync, op7_prefix_bpe, op9_bin_slack, op10_output_codes)}
 
 ORACLES: dict[str, str] = {}
