@@ -15,6 +15,7 @@ from .bpe_prefix import encode_documents
 from .external_shuffle import external_shuffle, record_size
 from .folds import held_out, learns
 from .token_counts import count_tokens
+from .token_groups import similar_components
 
 TOKENIZER = public_tokenizers.path("byte_bpe_50k.json")
 RANKS = public_tokenizers.path("byte_bpe_50k.tiktoken")
@@ -33,6 +34,10 @@ def op1_nonnegative_pu(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out("doc_id").alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
+def op2_token_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return similar_components(table(spark, sf_dir, "documents"))
+
+
 def op3_external_shuffle(spark: SparkSession, sf_dir: str) -> DataFrame:
     shuffled = external_shuffle(table(spark, sf_dir, "documents"), shards=8, seed=17)
     crc = F.crc32(F.coalesce(F.encode("text", "UTF-8"), F.lit(b"")))
@@ -58,6 +63,6 @@ def op10_output_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", held_out("doc_id").alias("held_out"), "lang_pred", "score", "ambiguous")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_nonnegative_pu, op3_external_shuffle, op6_overlap_resync, op7_prefix_bpe, op9_bin_slack, op10_output_codes)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_nonnegative_pu, op2_token_groups, op3_external_shuffle, op6_overlap_resync, op7_prefix_bpe, op9_bin_slack, op10_output_codes)}
 
 ORACLES: dict[str, str] = {}
