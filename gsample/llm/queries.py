@@ -14,6 +14,7 @@ from .bin_slack import pack_documents
 from .bpe_prefix import encode_documents
 from .external_shuffle import external_shuffle, record_size
 from .folds import held_out, learns
+from .sparse_suffixes import repeated_spans
 from .token_counts import count_tokens
 from .token_groups import similar_components
 
@@ -44,6 +45,10 @@ def op3_external_shuffle(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shuffled.select("doc_id", record_size("text").alias("size"), crc.alias("text_crc32"), F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op5_sparse_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeated_spans(table(spark, sf_dir, "documents")).withColumnRenamed("source_id", "source_doc_id")
+
+
 def op6_overlap_resync(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), TOKENIZER).withColumn("over_limit", F.col("n_tokens") > 512)
 
@@ -63,6 +68,6 @@ def op10_output_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", held_out("doc_id").alias("held_out"), "lang_pred", "score", "ambiguous")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_nonnegative_pu, op2_token_groups, op3_external_shuffle, op6_overlap_resync, op7_prefix_bpe, op9_bin_slack, op10_output_codes)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_nonnegative_pu, op2_token_groups, op3_external_shuffle, op5_sparse_suffixes, op6_overlap_resync, op7_prefix_bpe, op9_bin_slack, op10_output_codes)}
 
 ORACLES: dict[str, str] = {}
