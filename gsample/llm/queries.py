@@ -14,7 +14,9 @@ from .bin_slack import pack_documents
 from .bpe_prefix import encode_documents
 from .external_shuffle import external_shuffle, record_size
 from .folds import held_out, learns
+from .multiprobe import nearest
 from .sparse_suffixes import repeated_spans
+from .subspace_join import near_vectors
 from .token_counts import count_tokens
 from .token_groups import similar_components
 
@@ -45,6 +47,10 @@ def op3_external_shuffle(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shuffled.select("doc_id", record_size("text").alias("size"), crc.alias("text_crc32"), F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op4_multiprobe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest(table(spark, sf_dir, "embeddings"), lambda vec_id: vec_id % 100 == 0)
+
+
 def op5_sparse_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeated_spans(table(spark, sf_dir, "documents")).withColumnRenamed("source_id", "source_doc_id")
 
@@ -58,6 +64,10 @@ def op7_prefix_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encoded.select("doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
+def op8_subspace_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op9_bin_slack(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(table(spark, sf_dir, "documents"), TOKENIZER, RANKS, PATTERN, ids=False)
 
@@ -68,6 +78,6 @@ def op10_output_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", held_out("doc_id").alias("held_out"), "lang_pred", "score", "ambiguous")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_nonnegative_pu, op2_token_groups, op3_external_shuffle, op5_sparse_suffixes, op6_overlap_resync, op7_prefix_bpe, op9_bin_slack, op10_output_codes)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_nonnegative_pu, op2_token_groups, op3_external_shuffle, op4_multiprobe, op5_sparse_suffixes, op6_overlap_resync, op7_prefix_bpe, op8_subspace_join, op9_bin_slack, op10_output_codes)}
 
 ORACLES: dict[str, str] = {}
