@@ -24,8 +24,8 @@ def plan_size(df: DataFrame) -> int:
 
 
 def bucket_count(df: DataFrame, bytes_each: int = 16 << 20) -> int:
-    """Enough buckets for the input and for the session's shuffle partitions."""
-    return max(4 * int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(1 << 20, plan_size(df) // bytes_each))
+    """Enough buckets for the input and for the session's shuffle partitions; a second exchange sends at most their square of rows."""
+    return max(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(1 << 20, plan_size(df) // bytes_each))
 
 
 def schema(names: list[str]) -> str:
