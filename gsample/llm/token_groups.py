@@ -4,17 +4,18 @@ Documents whose Jaccard similarity reaches the threshold are linked; the result
 component per document.
 
 1. Documents with equal sets become one node.  A node's *prefix* is its first
-   n - ceil(t n) + 1 tokens in a fixed order, frequent tokens last; two similar nodes
-   share a token of their prefixes.  The order may be any, so the frequent tokens are
-   estimated on a bounded sample without any effect on the result.
+   n - ceil(t n) + m(n) tokens in a fixed order, frequent tokens last, where m(n) is
+   1 + n // 20.  Two similar nodes share at least m tokens of their prefixes, m being that
+   of the smaller node.  The order may be any, so the frequent tokens are estimated on a
+   bounded sample without any effect on the result.
 2. Prefix tokens that two or more nodes hold give each node one likely partner.  The
    verified ones join nodes into clusters, so that large families of near copies are
    linked by as many tests as they have members.
-3. Clusters are cut or gathered into groups of about ``GROUP`` similar nodes, each with
-   the union of its tokens.  A node asks those groups with which it shares a prefix
-   token outside its own cluster.  The node's overlap with a group's union bounds its
-   overlap with any member: a group below t n is not opened.  In the others every
-   member's similarity is computed exactly.
+3. A cluster is a group of similar nodes; a large one is cut into several of about
+   ``GROUP`` nodes.  Each has the union of its tokens, first that of its prefixes: a node
+   whose prefix shares fewer than m tokens with the union is like no member.  For the
+   groups left, the union of all tokens bounds the overlap with any member: a group below
+   t n is not opened.  In the others every member's similarity is computed exactly.
 
 Copies and clusters are never expanded into pairs, and no link between two clusters is
 missed.  Rows with a null id take no part; null texts and texts without words have size 0
@@ -54,6 +55,11 @@ def least_overlap(n, percent: int = 80):
     return (n * percent + 99) // 100
 
 
+def shared_least(n):
+    """Prefix tokens that two similar sets share, if the smaller one has ``n``."""
+    return 1 + n // 20
+
+
 def _lists(parts: list[np.ndarray | None]) -> pa.Array:
     ends = np.cumsum([0] + [0 if p is None else len(p) for p in parts])
     some = [p for p in parts if p is not None and len(p)]
@@ -89,7 +95,7 @@ def _frequent_tokens(docs: DataFrame, id: str, text: str, words: int) -> tuple[n
 
 def _prefix(s: np.ndarray, frequent: np.ndarray, counts: np.ndarray, percent: int) -> np.ndarray:
     n = len(s)
-    size = n - least_overlap(n, percent) + 1
+    size = n - least_overlap(n, percent) + shared_least(n)
     if not len(frequent):
         return s[:size]
     at = np.minimum(np.searchsorted(frequent, s.view(_I)), len(frequent) - 1)
@@ -168,8 +174,17 @@ def _sets(docs: DataFrame, ids: DataFrame, id: str, text: str, words: int) -> Da
     return materialize(picked.select(text).mapInArrow(run, "node bigint, n bigint, tokens array<bigint>"), "tokens")
 
 
+def _tally(parts: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, ...]:
+    """(node, g, times) with each pair once."""
+    node, g, times = (np.concatenate(c) for c in zip(*parts, strict=True))
+    order = np.lexsort((g, node))
+    node, g, times = node[order], g[order], times[order]
+    first = np.flatnonzero(np.r_[True, (node[1:] != node[:-1]) | (g[1:] != g[:-1])])
+    return node[first], g[first], np.add.reduceat(times, first)
+
+
 def _ask_groups(postings: DataFrame, nodes: DataFrame, tasks: int, percent: int) -> DataFrame:
-    """(node, g) for groups with which a node shares a prefix token outside its cluster, asked from the smaller cluster."""
+    """(node, g): groups of other clusters whose prefix tokens hold enough of a node's, asked from the smaller cluster."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         token, node, n, cluster, size, g = _whole(batches, ["token", "node", "n", "cluster", "size", "g"])
@@ -177,35 +192,34 @@ def _ask_groups(postings: DataFrame, nodes: DataFrame, tasks: int, percent: int)
         token, node, n, cluster, g = token[order], node[order], n[order], cluster[order], g[order]
         starts = np.flatnonzero(np.r_[True, token[1:] != token[:-1]]) if len(token) else np.zeros(0, _I)
         ends = np.r_[starts[1:], len(token)]
-        asked: list[np.ndarray] = []
+        asked: list[tuple[np.ndarray, ...]] = []
         held = 0
         for a, b in zip(starts, ends, strict=True):
-            if cluster[a] == cluster[b - 1] and (cluster[a:b] == cluster[a]).all():
-                continue
-            c, gs, ns, who = cluster[a:b], g[a:b], n[a:b], node[a:b]
-            change = np.r_[np.flatnonzero(c[1:] != c[:-1]) + 1, len(c)]
+            c = cluster[a:b]
+            change = np.flatnonzero(c[1:] != c[:-1]) + 1
             begin = 0
-            for last in change[:-1]:
-                # nodes begin..last are one cluster; all behind are larger clusters or equal ones
-                order_g = np.lexsort((ns[last:], gs[last:]))
-                tail_g, tail_n = gs[last:][order_g], ns[last:][order_g]
+            for last in change:
+                # nodes begin..last are one cluster; those behind are in larger ones, or in as large ones with larger names
+                by_g = np.lexsort((n[a + last : b], g[a + last : b]))
+                tail_g, tail_n = g[a + last : b][by_g], n[a + last : b][by_g]
                 first = np.flatnonzero(np.r_[True, tail_g[1:] != tail_g[:-1]])
                 low, high = tail_n[first], tail_n[np.r_[first[1:], len(tail_g)] - 1]
-                q = ns[begin:last, None]
-                near = (low * percent <= q * 100) & (high * 100 >= q * percent)
-                i, j = np.nonzero(near)
-                asked.append(np.stack([who[begin:last][i], tail_g[first][j]], 1))
+                q = n[a + begin : a + last, None]
+                i, j = np.nonzero((low * percent <= q * 100) & (high * 100 >= q * percent))
+                asked.append((node[a + begin : a + last][i], tail_g[first][j], np.ones(len(i), _I)))
                 held += len(i)
                 begin = last
-            if held > 1_000_000:
-                asked = [np.unique(np.concatenate(asked), axis=0)]
-                held = 0
+            if held > 2_000_000:
+                asked = [_tally(asked)]
+                held = len(asked[0][0])
         if asked:
-            pairs = np.unique(np.concatenate(asked), axis=0)
-            yield from pa.table({"node": pairs[:, 0], "g": pairs[:, 1]}).to_batches(100_000)
+            found = _tally(asked)
+            yield from pa.table({"node": found[0], "g": found[1], "times": found[2]}).to_batches(100_000)
 
     rows = postings.select("token", "node", "n").join(nodes.select("node", "cluster", "size", "g"), "node").repartition(tasks, "token")
-    return rows.mapInArrow(run, "node bigint, g bigint").distinct()
+    counted = rows.mapInArrow(run, "node bigint, g bigint, times bigint").groupBy("node", "g").agg(F.sum("times").alias("times"))
+    least = F.floor(F.floor(F.col("n") * percent / 100) / 20) + 1  # ``shared_least`` of the smallest partner
+    return counted.join(nodes.select("node", "n"), "node").where(F.col("times") >= least).select("node", "g")
 
 
 def _open_groups(asked: DataFrame, nodes: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -252,20 +266,24 @@ def similar_components(docs: DataFrame, id: str = "doc_id", text: str = "text",
     tasks = max(tasks, -(-postings.count() // TASK_ROWS))
     known = materialize(postings.groupBy("node").agg(F.first("n").alias("n")), "nodes")
     first = scan.where("node is not null").groupBy("node").agg(F.min("id").alias("id"))
-    sets = _sets(docs, known.join(first, "node").select("id").distinct(), id, text, words)
     # one likely partner each, verified
-    likely = postings.where("node <> hub").groupBy("node", "hub").count().groupBy("node").agg(F.max_by("hub", F.struct("count", "hub")).alias("hub"))
+    enough = F.floor(F.floor(F.col("n") * percent / 100) / 20) + 1
+    best = postings.where("node <> hub").groupBy("node", "hub", "n").count().groupBy("node", "n").agg(F.max_by("hub", F.struct("count", "hub")).alias("hub"), F.max("count").alias("count"))
+    likely = materialize(best.where(F.col("count") >= enough).select("node", "hub"), "likely")
+    wanted = likely.select("node").union(likely.select("hub")).distinct()
+    sets = _sets(docs, wanted.join(first, "node").select("id").distinct(), id, text, words)
     a, b = sets.select("node", F.col("n").alias("n_a"), F.col("tokens").alias("a")), sets.select(F.col("node").alias("hub"), F.col("n").alias("n_b"), F.col("tokens").alias("b"))
     tested = likely.join(a, "node").join(b, "hub").withColumn("both", F.size(F.array_intersect("a", "b")))
     links = tested.where(f"both * 100 >= (n_a + n_b - both) * {percent}").select(F.col("node").alias("src"), F.col("hub").alias("dst"))
     stars = component_stars(links)
     nodes = known.join(stars.withColumnRenamed("id", "node").withColumnRenamed("component", "cluster"), "node", "left").withColumn("cluster", F.coalesce("cluster", "node"))
     sizes = nodes.groupBy("cluster").agg(F.count("*").alias("size"))
-    bins = max(1, known.count() // GROUP)
-    g = F.when(F.col("size") > GROUP, F.xxhash64("cluster", F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / GROUP)))).otherwise(F.pmod(F.xxhash64("cluster"), F.lit(bins)))
+    g = F.when(F.col("size") > GROUP, F.xxhash64("cluster", F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / GROUP)))).otherwise(F.col("cluster"))
     nodes = materialize(nodes.join(sizes, "cluster").withColumn("g", g), "groups")
     asked = materialize(_ask_groups(postings, nodes, tasks, percent), "asked")
-    bridges = component_stars(_open_groups(asked, nodes, sets, percent))
+    opened = nodes.join(asked.select("g").distinct(), "g", "left_semi").select("node").union(asked.select("node")).distinct()
+    more = _sets(docs, opened.join(first, "node").select("id").distinct(), id, text, words)
+    bridges = component_stars(_open_groups(asked, nodes, more, percent))
     final = nodes.join(bridges.withColumnRenamed("id", "cluster"), "cluster", "left").select("node", F.coalesce("component", "cluster").alias("key"))
     rows = scan.select("id", "n", "node").join(final, "node", "left").withColumn("key", F.coalesce("key", "node"))
     least = rows.where("key is not null").groupBy("key").agg(F.min("id").alias("least"))
