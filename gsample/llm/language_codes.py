@@ -157,3 +157,22 @@ def predict(docs: DataFrame, model: CodeModel | None, id: str = "doc_id", text:
 
     kind = dict(docs.dtypes)[id]
     return docs.select(id, text).mapInArrow(run, f"`{id}` {kind}, lang_pred string, score double, ambiguous boolean")
+
+
+def drop_undetermined(docs: DataFrame, model: CodeModel | None, text: str = "text", close: float = 0.05, least: float = 0.4) -> DataFrame:
+    """The rows, with all columns, that have a language: those of ``und`` go, and ambiguous ones whose best codeword is unlikely."""
+    shared, at = docs.sparkSession.sparkContext.broadcast(model), docs.columns.index(text)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = shared.value
+        for batch in batches:
+            for k in range(0, batch.num_rows, 512):
+                part = batch.slice(k, 512)
+                found = [features(t) for t in part.column(at).to_pylist()]
+                keep = np.array([f is not None for f in found])
+                if m and keep.any():
+                    _, p, lead = m.decode(np.stack([f for f in found if f is not None]))
+                    keep[keep] = (lead >= close) | (p >= least)
+                yield part.filter(pa.array(keep))
+
+    return docs.mapInArrow(run, docs.schema)

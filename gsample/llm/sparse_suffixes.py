@@ -194,7 +194,7 @@ def cut(text: str, spans: list[tuple[int, int]]) -> str:
 
 def remove_spans(docs: DataFrame, spans: DataFrame, id: str = "doc_id", text: str = "text") -> DataFrame:
     """``docs`` with the spans cut out of the text; rows left without a word by that go."""
-    by_doc = spans.groupBy(F.col(id).alias("__id")).agg(F.collect_set(F.struct(F.col("start_word").cast("int"), F.col("n_words").cast("int"))).alias("__spans"))
+    by_doc = spans.groupBy(F.col(id).alias("__id")).agg(F.collect_set(F.struct("start_word", "n_words")).alias("__spans"))
     names, at = docs.columns, docs.columns.index(text)
     joined = docs.join(by_doc, F.col(id) == F.col("__id"), "left").drop("__id")
 

@@ -161,3 +161,19 @@ def score(docs: DataFrame, model: PuModel | None, id: str = "doc_id", text: str
 
     kind = dict(docs.dtypes)[id]
     return docs.select(id, text).mapInArrow(run, f"`{id}` {kind}, score double")
+
+
+def drop_toxic(docs: DataFrame, model: PuModel | None, text: str = "text", threshold: float = 0.5) -> DataFrame:
+    """The rows, with all columns, that score below ``threshold``."""
+    shared, at = docs.sparkSession.sparkContext.broadcast(model), docs.columns.index(text)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = shared.value
+        for batch in batches:
+            for k in range(0, batch.num_rows, 512):
+                part = batch.slice(k, 512)
+                if m:
+                    part = part.filter(pa.array(m.score(np.stack([m.count(t) for t in part.column(at).to_pylist()])) < threshold))
+                yield part
+
+    return docs.mapInArrow(run, docs.schema)
