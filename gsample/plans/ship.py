@@ -9,6 +9,7 @@ import zipfile
 from pyspark.sql import SparkSession
 
 _sent: set[str] = set()
+BATCH = "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
 def ship(spark: SparkSession) -> None:
@@ -17,6 +18,8 @@ def ship(spark: SparkSession) -> None:
     if app in _sent:
         return
     _sent.add(app)
+    if spark.conf.get(BATCH, None) in (None, "64MB", str(64 << 20), str((1 << 63) - 1)):
+        spark.conf.set(BATCH, "8MB")  # long texts: rows per batch alone would not bound a batch
     root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
     path = os.path.join(tempfile.mkdtemp(prefix="gsample-src-"), "gsample_src.zip")
     with zipfile.ZipFile(path, "w") as z:
