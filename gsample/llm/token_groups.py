@@ -11,11 +11,12 @@ component per document.
 2. Prefix tokens that two or more nodes hold give each node one likely partner.  The
    verified ones join nodes into clusters, so that large families of near copies are
    linked by as many tests as they have members.
-3. A cluster is a group of similar nodes; a large one is cut into several of about
-   ``GROUP`` nodes.  Each has the union of its tokens, first that of its prefixes: a node
-   whose prefix shares fewer than m tokens with the union is like no member.  For the
-   groups left, the union of all tokens bounds the overlap with any member: a group below
-   t n is not opened.  In the others every member's similarity is computed exactly.
+3. Nodes are partitioned into groups of similar ones, at most about ``GROUP`` each: the
+   nodes of a large cluster, or those with the same likely partner.  Each group has the
+   union of its tokens, first that of its prefixes: a node whose prefix shares fewer than
+   m tokens with the union is like no member.  For the groups left, the union of all
+   tokens bounds the overlap with any member: a group below t n is not opened.  In the
+   others every member's similarity is computed exactly.
 
 Copies and clusters are never expanded into pairs, and no link between two clusters is
 missed.  Rows with a null id take no part; null texts and texts without words have size 0
@@ -268,7 +269,7 @@ def similar_components(docs: DataFrame, id: str = "doc_id", text: str = "text",
     first = scan.where("node is not null").groupBy("node").agg(F.min("id").alias("id"))
     # one likely partner each, verified
     enough = F.floor(F.floor(F.col("n") * percent / 100) / 20) + 1
-    best = postings.where("node <> hub").groupBy("node", "hub", "n").count().groupBy("node", "n").agg(F.max_by("hub", F.struct("count", "hub")).alias("hub"), F.max("count").alias("count"))
+    best = materialize(postings.where("node <> hub").groupBy("node", "hub", "n").count().groupBy("node", "n").agg(F.max_by("hub", F.struct("count", "hub")).alias("hub"), F.max("count").alias("count")), "best")
     likely = materialize(best.where(F.col("count") >= enough).select("node", "hub"), "likely")
     wanted = likely.select("node").union(likely.select("hub")).distinct()
     sets = _sets(docs, wanted.join(first, "node").select("id").distinct(), id, text, words)
@@ -278,8 +279,11 @@ def similar_components(docs: DataFrame, id: str = "doc_id", text: str = "text",
     stars = component_stars(links)
     nodes = known.join(stars.withColumnRenamed("id", "node").withColumnRenamed("component", "cluster"), "node", "left").withColumn("cluster", F.coalesce("cluster", "node"))
     sizes = nodes.groupBy("cluster").agg(F.count("*").alias("size"))
-    g = F.when(F.col("size") > GROUP, F.xxhash64("cluster", F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / GROUP)))).otherwise(F.col("cluster"))
-    nodes = materialize(nodes.join(sizes, "cluster").withColumn("g", g), "groups")
+    nodes = nodes.join(sizes, "cluster").join(best.select("node", "hub"), "node", "left")
+    nodes = nodes.withColumn("base", F.when(F.col("size") > GROUP, F.col("cluster")).otherwise(F.coalesce("hub", "node")))
+    bases = nodes.groupBy("base").agg(F.ceil(F.count("*") / GROUP).alias("chunks"))
+    g = F.xxhash64("base", F.pmod(F.xxhash64("node"), F.col("chunks")))
+    nodes = materialize(nodes.join(bases, "base").select("node", "n", "cluster", "size", g.alias("g")), "groups")
     asked = materialize(_ask_groups(postings, nodes, tasks, percent), "asked")
     opened = nodes.join(asked.select("g").distinct(), "g", "left_semi").select("node").union(asked.select("node")).distinct()
     more = _sets(docs, opened.join(first, "node").select("id").distinct(), id, text, words)
