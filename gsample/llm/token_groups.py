@@ -34,6 +34,7 @@ from pyspark.sql import functions as F
 
 from ..operators.components import component_stars
 from ..plans.materialize import materialize
+from . import packed
 from .folds import hash_share
 from .shingles import digest, shingle_set
 
@@ -176,12 +177,12 @@ def _sets(docs: DataFrame, ids: DataFrame, id: str, text: str, words: int) -> Da
 
 
 def _tally(parts: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, ...]:
-    """(node, g, times) with each pair once."""
-    node, g, times = (np.concatenate(c) for c in zip(*parts, strict=True))
+    """(node, g, n, times) with each pair of node and group once."""
+    node, g, n, times = (np.concatenate(c) for c in zip(*parts, strict=True))
     order = np.lexsort((g, node))
-    node, g, times = node[order], g[order], times[order]
+    node, g, n, times = node[order], g[order], n[order], times[order]
     first = np.flatnonzero(np.r_[True, (node[1:] != node[:-1]) | (g[1:] != g[:-1])])
-    return node[first], g[first], np.add.reduceat(times, first)
+    return node[first], g[first], n[first], np.add.reduceat(times, first)
 
 
 def _ask_groups(postings: DataFrame, nodes: DataFrame, tasks: int, percent: int) -> DataFrame:
@@ -207,7 +208,7 @@ def _ask_groups(postings: DataFrame, nodes: DataFrame, tasks: int, percent: int)
                 low, high = tail_n[first], tail_n[np.r_[first[1:], len(tail_g)] - 1]
                 q = n[a + begin : a + last, None]
                 i, j = np.nonzero((low * percent <= q * 100) & (high * 100 >= q * percent))
-                asked.append((node[a + begin : a + last][i], tail_g[first][j], np.ones(len(i), _I)))
+                asked.append((node[a + begin : a + last][i], tail_g[first][j], n[a + begin : a + last][i], np.ones(len(i), _I)))
                 held += len(i)
                 begin = last
             if held > 2_000_000:
@@ -215,12 +216,16 @@ def _ask_groups(postings: DataFrame, nodes: DataFrame, tasks: int, percent: int)
                 held = len(asked[0][0])
         if asked:
             found = _tally(asked)
-            yield from pa.table({"node": found[0], "g": found[1], "times": found[2]}).to_batches(100_000)
+            yield from packed.send(iter([(packed.mix(found[0]), list(found))]), names, tasks)
 
+    def enough(group: pa.Table) -> pa.Table:
+        node, g, n, times = _tally([tuple(packed.read(group.column(c), _I) for c in names)])
+        some = times >= shared_least(n * percent // 100)  # that of the smallest partner
+        return pa.table({"node": node[some], "g": g[some]})
+
+    names = ["node", "g", "n", "times"]
     rows = postings.select("token", "node", "n").join(nodes.select("node", "cluster", "size", "g"), "node").repartition(tasks, "token")
-    counted = rows.mapInArrow(run, "node bigint, g bigint, times bigint").groupBy("node", "g").agg(F.sum("times").alias("times"))
-    least = F.floor(F.floor(F.col("n") * percent / 100) / 20) + 1  # ``shared_least`` of the smallest partner
-    return counted.join(nodes.select("node", "n"), "node").where(F.col("times") >= least).select("node", "g")
+    return packed.each_bucket(rows.mapInArrow(run, packed.schema(names)), enough, "node bigint, g bigint")
 
 
 def _open_groups(asked: DataFrame, nodes: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
