@@ -19,7 +19,7 @@ class _WordHashes(dict):
     """Hashes of the words met, forgotten when there are too many."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 400_000:
+        if len(self) > 200_000:
             self.clear()
         h = self[word] = xxhash.xxh3_64_intdigest(word)
         return h

@@ -35,6 +35,8 @@ from .shingles import finish, runs, word_hashes
 
 #: Leading words by which retained suffixes are sorted.
 SEED = 8
+#: Spans sent to the workers to be cut, at most (about 50 bytes each); more are joined by a shuffle.
+SENT_SPANS = 1_000_000
 #: Repeated seeds sent to the workers, at most (8 bytes each); more are joined by a shuffle.
 SENT_SEEDS = 4_000_000
 
@@ -194,9 +196,11 @@ def cut(text: str, spans: list[tuple[int, int]]) -> str:
 
 def remove_spans(docs: DataFrame, spans: DataFrame, id: str = "doc_id", text: str = "text") -> DataFrame:
     """``docs`` with the spans cut out of the text; rows left without a word by that go."""
-    by_doc = spans.groupBy(F.col(id).alias("__id")).agg(F.collect_set(F.struct("start_word", "n_words")).alias("__spans"))
+    key, cuts_ = (next(f"{n}{k}" for k in range(99) if f"{n}{k}" not in docs.columns) for n in ("id_", "spans_"))
+    by_doc = spans.groupBy(F.col(id).alias(key)).agg(F.collect_set(F.struct("start_word", "n_words")).alias(cuts_))
+    by_doc = F.broadcast(by_doc) if spans.count() <= SENT_SPANS else by_doc
     names, at = docs.columns, docs.columns.index(text)
-    joined = docs.join(by_doc, F.col(id) == F.col("__id"), "left").drop("__id")
+    joined = docs.join(by_doc, docs[id] == by_doc[key], "left").drop(key)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:

@@ -82,7 +82,7 @@ class PuModel:
         for word, n in Counter(words).items():
             known = memo.get(word)
             if known is None:
-                if len(memo) > 500_000:
+                if len(memo) > 100_000:
                     memo.clear()
                 known = memo[word] = tuple(self.index[f] for f in parts(word) if f in self.index)
             for k in known:
