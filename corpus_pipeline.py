@@ -23,7 +23,7 @@ from gsample.llm.bin_slack import pack_documents
 from gsample.llm.folds import learns
 from gsample.llm.queries import PATTERN, RANKS, TOKENIZER, table
 from gsample.llm.sparse_suffixes import remove_spans, repeated_spans
-from gsample.llm.token_groups import similar_components
+from gsample.llm.token_groups import SENT_IDS, similar_components
 from gsample.plans.materialize import materialize
 from gsample.plans.ship import ship
 
@@ -41,7 +41,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
     copies = materialize(similar_components(docs).where("component_id <> doc_id").select("doc_id").distinct(), "copies")
-    return docs.join(copies, "doc_id", "left_anti").select(docs.columns)
+    return docs.join(F.broadcast(copies) if copies.count() <= SENT_IDS else copies, "doc_id", "left_anti").select(docs.columns)
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
