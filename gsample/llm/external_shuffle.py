@@ -8,7 +8,8 @@ row counts differ by at most one.  Bucket sizes come from one small table of
 
 Defined results: a null text has size 1 and the checksum of no bytes; records equal in id
 and text share a bucket and keep separate slots; null ids are records like any others;
-an empty table gives no rows; other columns travel with their record.
+an empty table gives no rows; other columns travel with their record, but columns named
+``shard`` and ``slot`` give way to the results.
 """
 
 from __future__ import annotations

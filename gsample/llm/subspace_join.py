@@ -188,8 +188,12 @@ def near_vectors(df: DataFrame, cosine: float = 0.95, id: str = "vec_id", vector
             columns = [np.concatenate([h[k] for h in held]) for k in range(1, 5)]
             return packed._deal(columns, tile, ["id", "times", "role", "vec"])
 
-        n = 0
+        n, width_held = 0, 0
         for dim, ids, times, x, block, home, row, cell in dealt(batches):
+            if held and dim != width_held:  # vectors of one dimension travel together
+                yield flush()
+                held, n = [], 0
+            width_held = dim
             table = layout.value[0][dim, block]
             mixed = packed.mix(ids)
             start, chunks, guests = table[home].T
