@@ -27,6 +27,10 @@ from ..plans.ranking import rank_within
 from .token_ids import load_ids
 
 
+#: Pieces that one task numbers, about.
+RANKED = 1_000_000
+
+
 def fill_window(counts: dict[int, int], capacity: int) -> dict[int, int]:
     """The multiset {length: times} within ``counts`` that fills one window best.
 
@@ -97,7 +101,7 @@ def cut_documents(docs: DataFrame, tokenizer_path: str, ranks_path: str | None,
     return docs.select(id, text).mapInArrow(run, schema)
 
 
-def pack_pieces(pieces: DataFrame, capacity: int = 2048, length: str = "length", order: tuple[str, ...] = ("doc_id", "start"), buckets: int = 64) -> DataFrame:
+def pack_pieces(pieces: DataFrame, capacity: int = 2048, length: str = "length", order: tuple[str, ...] = ("doc_id", "start")) -> DataFrame:
     """Adds (sequence_id, offset) to ``pieces``, whose rows must be stable (a table)."""
     counts = {r[length]: r["count"] for r in pieces.groupBy(length).count().collect()}  # at most capacity rows
     plan, spans, base = plan_windows(counts, capacity), [], 0
@@ -110,7 +114,7 @@ def pack_pieces(pieces: DataFrame, capacity: int = 2048, length: str = "length",
             at += n * k
         base += times
     spans.sort()
-    ranked = rank_within(pieces, [length], list(order), "__rank", buckets, cut=False)
+    ranked = rank_within(pieces, [length], list(order), "__rank", max(64, sum(counts.values()) // RANKED), cut=False)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np

@@ -80,4 +80,28 @@ def op10_output_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_nonnegative_pu, op2_token_groups, op3_external_shuffle, op4_multiprobe, op5_sparse_suffixes, op6_overlap_resync, op7_prefix_bpe, op8_subspace_join, op9_bin_slack, op10_output_codes)}
 
-ORACLES: dict[str, str] = {}
+_WORDS = "regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+')"
+
+#: DuckDB SQL of the exact operators; the others are held against brute force or libraries in tests/llm.
+ORACLES: dict[str, str] = {
+    "op2_token_groups": f"""
+        WITH RECURSIVE d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+        s AS (SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) >= 5 THEN list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END) AS x FROM d),
+        n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+        p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS c FROM s a JOIN s b USING (x) WHERE a.doc_id <> b.doc_id GROUP BY 1, 2),
+        l AS (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * c >= 80 * (x.n + y.n - c)),
+        r(id, least_id) AS (SELECT doc_id, doc_id FROM documents UNION SELECT b, least_id FROM r JOIN l ON a = id WHERE least_id < b)
+        SELECT doc_id, coalesce(n, 0) AS n_shingles, component_id FROM documents LEFT JOIN n USING (doc_id) JOIN (SELECT id AS doc_id, min(least_id) AS component_id FROM r GROUP BY id) USING (doc_id)""",
+    "op5_sparse_suffixes": f"""
+        WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+        p AS (SELECT doc_id, k - 1 AS k, md5(array_to_string(w[k:k + 49], ' ')) AS h FROM (SELECT doc_id, w, unnest(range(1, len(w) - 48)) AS k FROM d WHERE len(w) >= 50)),
+        o AS (SELECT doc_id, k, min(doc_id) OVER (PARTITION BY h) AS source FROM p),
+        i AS (SELECT *, coalesce(k > lag(k) OVER q + 50, true)::INTEGER AS fresh FROM o WHERE doc_id > source WINDOW q AS (PARTITION BY doc_id ORDER BY k)),
+        g AS (SELECT *, sum(fresh) OVER (PARTITION BY doc_id ORDER BY k) AS run FROM i)
+        SELECT doc_id, min(k) AS start_word, max(k) + 50 - min(k) AS n_words, arg_min(source, k) AS source_doc_id FROM g GROUP BY doc_id, run""",
+    "op8_subspace_join": """
+        WITH RECURSIVE l AS (SELECT a.vec_id AS a, b.vec_id AS b FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) >= 0.95),
+        r(id, least_id) AS (SELECT vec_id, vec_id FROM embeddings UNION SELECT b, least_id FROM r JOIN l ON a = id WHERE least_id < b),
+        c AS (SELECT id AS vec_id, min(least_id) AS component_id FROM r GROUP BY id)
+        SELECT vec_id, coalesce(n, 0) AS n_links, component_id, vec_id = component_id AS kept FROM c LEFT JOIN (SELECT a AS vec_id, count(*) AS n FROM l GROUP BY a) USING (vec_id)""",
+}
