@@ -40,7 +40,7 @@ class Prepared:
 
 
 def prepare(g: PropertyGraph, seed: int, source: str = "portable") -> Prepared:
-    index = materialize(rank_within(g.vertices.select("id"), [], ["id"], "idx", cut=True), "index")
+    index = materialize(rank_within(g.vertices.select("id"), [], ["id"], "idx", max(64, g.vertices.count() // 1_000_000)), "index")
     order = Window.partitionBy("src").orderBy(unit_random(seed, "edge", "edge_id", source=source), "edge_id")
     ranked = g.edges.select("src", "edge_id", "dst").withColumn("rank", F.row_number().over(order))
     ranked = ranked.join(index.toDF("dst", "dst_idx"), "dst").select("src", "rank", "edge_id", "dst", "dst_idx")
