@@ -27,8 +27,30 @@ class ExpandWalk:
         yield from enumerate(path or [])
 
 
+@udtf(returnType="edge_id bigint, src bigint, dst bigint")
+class SampleEdges:
+    """Random edge sampling of a table argument: ``gs_sample_edges(TABLE(e), s, seed)``."""
+
+    def eval(self, row, s, seed):
+        import hashlib
+
+        text = f"{seed}:e:{row['edge_id']}"
+        if int(hashlib.md5(text.encode()).hexdigest()[:8], 16) / 4294967296.0 <= s:
+            yield row["edge_id"], row["src"], row["dst"]
+
+
+@pandas_udf("array<bigint>")
+def smallest_hashed(ids: pd.Series, k: pd.Series) -> list:
+    """A reservoir: the ``k`` ids of a group with the smallest hashes, in that order; any order of rows gives the same."""
+    import hashlib
+
+    named = sorted((hashlib.md5(str(i).encode()).hexdigest(), int(i)) for i in ids.dropna().unique())
+    return [i for _, i in named[: int(k.iloc[0])]] if len(k) else []
+
+
 def register_functions(spark: SparkSession) -> None:
-    """``gs_unit_random(seed, stream, id)``, ``gs_ks(sample, original)`` and ``gs_expand_walk(path)``.
+    """``gs_unit_random(seed, stream, id)``, ``gs_ks(sample, original)``,
+    ``gs_reservoir(id, k)``, ``gs_expand_walk(path)`` and ``gs_sample_edges(TABLE(e), s, seed)``.
 
     The first is a SQL function that the optimizer inlines, so it runs without Python.
     """
@@ -37,4 +59,6 @@ def register_functions(spark: SparkSession) -> None:
         "RETURN CAST(conv(substring(md5(CAST(concat_ws(':', seed, stream, id) AS BINARY)), 1, 8), 16, 10) AS BIGINT) / 4294967296.0D"
     )
     spark.udf.register("gs_ks", ks_statistic)
+    spark.udf.register("gs_reservoir", smallest_hashed)
     spark.udtf.register("gs_expand_walk", ExpandWalk)
+    spark.udtf.register("gs_sample_edges", SampleEdges)

@@ -73,6 +73,23 @@ def _shared_step(p: Prepared, walkers: DataFrame, gone: DataFrame, step: int, se
     return _land(p, w, moved, step, seed, source)
 
 
+def _scan_step(p: Prepared, walkers: DataFrame, gone: DataFrame, step: int, seed: int, jump: float, source: str) -> DataFrame:
+    """The shared superstep without departures: every out-edge of the walkers' vertices is looked at, traversed ones are taken out.
+
+    For comparison: its work follows the degrees, that of ``_shared_step`` the walkers.
+    ``gone``: (src, edge_id) traversed so far.
+    """
+    w = walkers.select("walker", "at", "at_idx").withColumn("step", F.lit(step)).withColumn("chance", unit_random(seed, "jump", "walker", "step", source=source) <= jump)
+    turn = F.row_number().over(Window.partitionBy("at", "chance").orderBy("walker"))
+    w = w.withColumn("turn", turn)
+    here = F.broadcast(w.where("not chance").select(F.col("at").alias("src")).distinct())
+    left = p.ranked.join(here, "src").join(gone.select("edge_id"), "edge_id", "left_anti")
+    left = left.withColumn("turn", F.row_number().over(Window.partitionBy("src").orderBy("rank"))).select("src", "turn", "edge_id", "dst", "dst_idx")
+    go = F.broadcast(w.where("not chance").select("walker", F.col("at").alias("src"), "turn"))
+    moved = left.join(go, ["src", "turn"]).select("walker", "edge_id", "dst", "dst_idx")
+    return _land(p, w.drop("turn"), moved, step, seed, source)
+
+
 def _own_step(p: Prepared, walkers: DataFrame, gone: DataFrame, step: int, seed: int, jump: float, source: str) -> DataFrame:
     """One superstep with edge marks of each walker's own; ``gone``: (walker, edge_id) traversed so far."""
     w = walkers.select("walker", "at", "at_idx").withColumn("step", F.lit(step)).withColumn("chance", unit_random(seed, "jump", "walker", "step", source=source) <= jump)
@@ -82,12 +99,13 @@ def _own_step(p: Prepared, walkers: DataFrame, gone: DataFrame, step: int, seed:
     return _land(p, w, moved, step, seed, source)
 
 
-def walk_trace(g: PropertyGraph, target: int, seed: int = 7, walkers: int = 1, jump: float = 0.1, edge_memory: str = "shared", stop: str = "reach", on_meet: str = "keep", max_supersteps: int = 10_000, source: str = "portable", prepared: Prepared | None = None) -> DataFrame:
+def walk_trace(g: PropertyGraph, target: int, seed: int = 7, walkers: int = 1, jump: float = 0.1, edge_memory: str = "shared", stop: str = "reach", on_meet: str = "keep", max_supersteps: int = 10_000, source: str = "portable", prepared: Prepared | None = None, adjacency: str = "ranked") -> DataFrame:
     """(walker, step, at, kind): where every walker was after each superstep, from the start (step 0) to the stop.
 
     The walk stops at the first superstep after which ``target`` vertices were visited
     ('reach') or more than that ('exceed').  ``on_meet='merge'`` lets one of several walkers
-    on a vertex go on.
+    on a vertex go on.  ``adjacency='scan'`` looks at all out-edges instead of the ranked one;
+    the walk is the same.
     """
     p = prepared or prepare(g, seed, source)
     target = min(target, p.size - (stop == "exceed"))
@@ -96,8 +114,8 @@ def walk_trace(g: PropertyGraph, target: int, seed: int = 7, walkers: int = 1, j
     none = F.lit(None).cast("long")
     start = first.select((F.row_number().over(Window.orderBy(*draw)) - 1).cast("int").alias("walker"), F.lit(0).alias("step"), F.col("id").alias("at"), F.col("idx").alias("at_idx"), F.lit("start").alias("kind"), none.alias("src"), none.alias("edge_id"))
     log = [materialize(start.coalesce(1), "walkers")]
-    now, step, shared = log[0], 0, edge_memory == "shared"
-    gone = g.spark.createDataFrame([], "src bigint, n bigint" if shared else "walker int, edge_id bigint")
+    now, step, shared, scan = log[0], 0, edge_memory == "shared", edge_memory == "shared" and adjacency == "scan"
+    gone = g.spark.createDataFrame([], "src bigint, edge_id bigint" if scan else "src bigint, n bigint" if shared else "walker int, edge_id bigint")
     visited = materialize(now.select("at").distinct(), "visited")
     while True:
         n = visited.count()
@@ -107,13 +125,16 @@ def walk_trace(g: PropertyGraph, target: int, seed: int = 7, walkers: int = 1, j
                 seen = seen.union(t)
             return seen.select("walker", "step", "at", "kind")
         step += 1
-        moves = (_shared_step if shared else _own_step)(p, now, gone, step, seed, jump, source)
+        moves = (_scan_step if scan else _shared_step if shared else _own_step)(p, now, gone, step, seed, jump, source)
         if on_meet == "merge":
             keep = F.row_number().over(Window.partitionBy("at").orderBy("walker"))
             moves = moves.withColumn("k", keep).where("k = 1").drop("k")
         now = materialize(moves.select("walker", F.lit(step).alias("step"), "at", "at_idx", "kind", "src", "edge_id").coalesce(1 + walkers // 10_000), "walkers")
         left = now.where("edge_id is not null")
-        gone = gone.union(left.groupBy("src").agg(F.count("*").alias("n"))).groupBy("src").agg(F.sum("n").alias("n")) if shared else gone.union(left.select("walker", "edge_id"))
+        if scan:
+            gone = gone.union(left.select("src", "edge_id"))
+        else:
+            gone = gone.union(left.groupBy("src").agg(F.count("*").alias("n"))).groupBy("src").agg(F.sum("n").alias("n")) if shared else gone.union(left.select("walker", "edge_id"))
         visited = visited.union(now.select("at")).distinct()
         log.append(now)
         if step % CUT == 0:

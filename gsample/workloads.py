@@ -107,6 +107,8 @@ on_graph("plain_edge_sample", "commerce", lambda g: edges_of(S.plain_edge_sample
 on_graph("rw_multi", "sessions", lambda g: edges_of(W.random_walk(g, SHARE, SEED, walkers=50)), None)
 on_graph("rw_single_trace", "sessions", lambda g: W.walk_trace(g, 12, SEED), None)
 on_graph("rw_exceed_merge_counters", "similar_items", lambda g: W.walk_counters(W.walk_trace(g, 150, SEED, walkers=30, stop="exceed", on_meet="merge")), None)
+on_graph("rw_scan_trace", "sessions", lambda g: W.walk_trace(g, 60, SEED, walkers=20, adjacency="scan"), None)
+on_graph("rw_ranked_trace", "sessions", lambda g: W.walk_trace(g, 60, SEED, walkers=20), None)
 on_graph("rw_per_walker", "similar_items", lambda g: edges_of(W.random_walk(g, SHARE, SEED, walkers=40, edge_memory="per_walker")), None)
 on_graph("rw_valid", "sessions", lambda g: validate_sample(g, W.random_walk(g, 0.2, SEED, walkers=40)), "SELECT rule, 0::BIGINT AS violations FROM (VALUES ('vertices_of_graph'), ('edges_of_graph'), ('source_in_sample'), ('target_in_sample'), ('no_isolated_vertex')) AS r(rule)")
 on_graph("frontier", "similar_items", lambda g: edges_of(W.frontier(g, 0.3, SEED)), None)
@@ -324,6 +326,21 @@ def sql_walk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql("SELECT step, vertex FROM gs_expand_walk(array(5L, 9L, 5L))")
 
 
+@case("sql_sample_edges", with_graph("replies", f"SELECT edge_id, src, dst FROM e WHERE {U_E} <= {SHARE}"))
+def sql_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
+    graph(spark, sf_dir, "replies").register("replies")
+    register_functions(spark)
+    return spark.sql(f"SELECT edge_id, src, dst FROM gs_sample_edges(TABLE(SELECT edge_id, src, dst FROM replies_e), {SHARE}D, {SEED})")
+
+
+@case("sql_reservoir", "SELECT event_type, string_agg(event_id::VARCHAR, ',' ORDER BY md5(event_id::VARCHAR)) AS ids FROM (SELECT event_type, event_id FROM events QUALIFY row_number() OVER (PARTITION BY event_type ORDER BY md5(event_id::VARCHAR)) <= 5) GROUP BY event_type")
+def sql_reservoir(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship(spark)
+    register_functions(spark)
+    table(spark, sf_dir, "events").createOrReplaceTempView("gs_events")
+    return spark.sql("SELECT event_type, concat_ws(',', transform(gs_reservoir(event_id, 5), x -> CAST(x AS STRING))) AS ids FROM gs_events GROUP BY event_type")
+
+
 # streams ------------------------------------------------------------------------------
 
 _E = "e AS (SELECT event_id AS edge_id, user_id * 2 AS src, (CASE event_type WHEN 'view' THEN 0 WHEN 'click' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END) * 2 + 1 AS dst, ts FROM events)"
