@@ -49,3 +49,21 @@ def test_relatives_give_valid_samples(spark, sf, f):
     s = f(g, 0.2, 5)
     assert all(r["violations"] == 0 for r in validate_sample(g, s).collect())
     assert 50 <= s.vertices.count() <= 110
+
+
+def test_scan_and_ranked_adjacency_walk_alike(spark, sf):
+    g = GRAPHS["sessions"](spark, sf)
+    p = W.prepare(g, 7)
+    a, b = (W.walk_trace(g, 40, 7, walkers=15, prepared=p, adjacency=k) for k in ("ranked", "scan"))
+    assert a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty()
+
+
+def test_walks_keep_edges_between_what_they_visit(spark, sf):
+    """A walk of 40 % of the vertices has fewer components per vertex than as many drawn at random."""
+    from gsample.operators import metrics as M
+    from gsample.operators import samplers as S
+
+    g = GRAPHS["doc_overlap"](spark, sf)
+    rw, rv = W.random_walk(g, 0.4, 1, walkers=20), S.random_vertex(g, 0.4, 1)
+    share = [M.wcc_count(x).first()[0] / x.vertices.count() for x in (rw, rv)]
+    assert share[0] <= share[1] + 0.1
