@@ -7,9 +7,14 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import ArrayType, DoubleType, IntegerType, LongType, StructType
 
+# types as objects: a type given as text can be read only while a session runs
+_STEPS = StructType().add("step", IntegerType()).add("vertex", LongType())
+_EDGES = StructType().add("edge_id", LongType()).add("src", LongType()).add("dst", LongType())
 
-@pandas_udf("double")
+
+@pandas_udf(DoubleType())
 def ks_statistic(sample: pd.Series, original: pd.Series) -> float:
     """Largest gap between the distributions of two columns of numbers; nulls are left out."""
     a, b = sample.dropna().sort_values(), original.dropna().sort_values()
@@ -19,7 +24,7 @@ def ks_statistic(sample: pd.Series, original: pd.Series) -> float:
     return float(abs(a.searchsorted(grid, "right") / len(a) - b.searchsorted(grid, "right") / len(b)).max())
 
 
-@udtf(returnType="step int, vertex bigint")
+@udtf(returnType=_STEPS)
 class ExpandWalk:
     """The steps of a path given as an array of vertices."""
 
@@ -27,7 +32,7 @@ class ExpandWalk:
         yield from enumerate(path or [])
 
 
-@udtf(returnType="edge_id bigint, src bigint, dst bigint")
+@udtf(returnType=_EDGES)
 class SampleEdges:
     """Random edge sampling of a table argument: ``gs_sample_edges(TABLE(e), s, seed)``."""
 
@@ -39,7 +44,7 @@ class SampleEdges:
             yield row["edge_id"], row["src"], row["dst"]
 
 
-@pandas_udf("array<bigint>")
+@pandas_udf(ArrayType(LongType()))
 def smallest_hashed(ids: pd.Series, k: pd.Series) -> list:
     """A reservoir: the ``k`` ids of a group with the smallest hashes, in that order; any order of rows gives the same."""
     import hashlib
