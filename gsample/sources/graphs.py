@@ -6,8 +6,10 @@ the rows they stand for, so that they do not depend on any order.
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -82,19 +84,33 @@ def doc_overlap(spark: SparkSession, sf_dir: str, shortest: int = 40, most: int
 
 
 def similar_items(spark: SparkSession, sf_dir: str, k: int = 10, largest: int = 20_000) -> PropertyGraph:
-    """Each vector to its ``k`` nearest by cosine.
+    """Each vector to its ``k`` nearest by cosine, ties to the lower id.
 
-    An exact all-against-all comparison, for graphs up to ``largest`` vectors; it refuses more.
+    Exact, for graphs up to ``largest`` vectors; it refuses more.  The vectors are sent to the
+    workers, whose number ``largest`` bounds; each block of rows is compared with all of them
+    and only its nearest are kept, so no pairs are written.
     """
-    vec = table(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    if vec.count() > largest:
+    vec = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    rows = vec.limit(largest + 1).collect()
+    if len(rows) > largest:
         raise ValueError(f"exact neighbours of more than {largest} vectors; use an index")
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    vec = vec.withColumn("n", F.sqrt(dot(F.col("v"), F.col("v"))))
-    a, b = vec.toDF("src", "a", "na"), F.broadcast(vec.toDF("dst", "b", "nb"))  # at most ``largest`` rows
-    scored = a.join(b, F.col("src") != F.col("dst")).select("src", "dst", F.round(dot(F.col("a"), F.col("b")) / (F.col("na") * F.col("nb")), 9).alias("c"))
-    rank = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("c"), "dst"))
-    pair = scored.withColumn("r", rank).where(F.col("r") <= k).select("src", "dst")
+    shared = spark.sparkContext.broadcast((np.array([r["vec_id"] for r in rows], np.int64), np.array([r["embedding"] for r in rows], np.float64)))
+
+    def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, x = shared.value
+        size = np.sqrt((x * x).sum(1))
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                own = batch.slice(at, 512)
+                mine = own.column(0).to_numpy()
+                y = np.array(own.column(1).to_pylist(), np.float64)
+                cosine = np.round(y @ x.T / (np.sqrt((y * y).sum(1))[:, None] * size), 9)
+                cosine[mine[:, None] == ids] = -np.inf
+                best = [ids[np.lexsort((ids, -c))[:k]] for c in cosine]
+                n = [min(k, len(ids) - 1)] * len(mine)
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(mine, n)), pa.array(np.concatenate([b[:m] for b, m in zip(best, n, strict=True)]))], names=["src", "dst"])
+
+    pair = vec.mapInArrow(near, "src bigint, dst bigint")
     return PropertyGraph(vec.select(F.col("vec_id").alias("id"), F.lit("item").alias("label")), _paired(pair, "like"))
 
 
