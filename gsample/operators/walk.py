@@ -39,12 +39,33 @@ class Prepared:
     size: int
 
 
-def prepare(g: PropertyGraph, seed: int, source: str = "portable") -> Prepared:
-    index = materialize(rank_within(g.vertices.select("id"), [], ["id"], "idx", max(64, g.vertices.count() // 1_000_000)), "index")
-    order = Window.partitionBy("src").orderBy(unit_random(seed, "edge", "edge_id", source=source), "edge_id")
-    ranked = g.edges.select("src", "edge_id", "dst").withColumn("rank", F.row_number().over(order))
-    ranked = ranked.join(index.toDF("dst", "dst_idx"), "dst").select("src", "rank", "edge_id", "dst", "dst_idx")
-    return Prepared(index, materialize(ranked.repartition("src").sortWithinPartitions("src", "rank"), "ranked"), index.count())
+def ranked_out_edges(edges: DataFrame, seed: int, source: str = "portable", hub: int = 1_000_000) -> DataFrame:
+    """(src, edge_id, dst, rank): each vertex's out-edges numbered from 1 in a random order fixed by the seed.
+
+    The edges of a vertex with over ``hub`` of them are numbered in 64 slices of the random
+    number, which are tasks of their own; the slices' counts shift the numbers.  The order is
+    the same as without slices.
+    """
+    e = edges.select("src", "edge_id", "dst").withColumn("u", unit_random(seed, "edge", "edge_id", source=source))
+    hubs = materialize(edges.groupBy("src").agg(F.count("*").alias("n")).where(F.col("n") > hub).select("src"), "hubs")
+    if hubs.isEmpty():
+        order = Window.partitionBy("src").orderBy("u", "edge_id")
+        return e.withColumn("rank", F.row_number().over(order)).drop("u")
+    e = e.join(hubs.withColumn("hub", F.lit(True)), "src", "left").withColumn("slice", F.when(F.col("hub"), F.floor(F.col("u") * 64)).otherwise(0))
+    local = materialize(e.withColumn("rank", F.row_number().over(Window.partitionBy("src", "slice").orderBy("u", "edge_id"))), "slices")
+    before = Window.partitionBy("src").orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
+    shift = local.where("hub").groupBy("src", "slice").agg(F.count("*").alias("n")).withColumn("shift", F.sum("n").over(before)).drop("n")
+    joined = local.join(shift, ["src", "slice"], "left")
+    return joined.select("src", "edge_id", "dst", (F.col("rank") + F.coalesce("shift", F.lit(0))).cast("int").alias("rank"))
+
+
+def prepare(g: PropertyGraph, seed: int, source: str = "portable", hub: int = 1_000_000) -> Prepared:
+    size = g.vertices.count()
+    drawn = g.vertices.select("id", unit_random(seed, "index", "id", source=source).alias("u"))
+    index = rank_within(drawn, [], ["u", "id"], "idx", max(64, size // 1_000_000), unit=F.col("u"))
+    index = materialize(index.select("id", "idx"), "index")
+    ranked = ranked_out_edges(g.edges, seed, source, hub).join(index.toDF("dst", "dst_idx"), "dst").select("src", "rank", "edge_id", "dst", "dst_idx")
+    return Prepared(index, materialize(ranked.repartition("src", F.floor(F.col("rank") / 1_000_000)).sortWithinPartitions("src", "rank"), "ranked"), size)
 
 
 def _jump_target(seed: int, size: int, source: str):

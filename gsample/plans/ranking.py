@@ -8,20 +8,23 @@ tie key, so the work of one class is spread over ``buckets`` tasks.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .materialize import materialize
 
 
-def rank_within(df: DataFrame, classes: list[str], order: list[str], out: str, buckets: int = 64, cut: bool = True) -> DataFrame:
+def rank_within(df: DataFrame, classes: list[str], order: list[str], out: str, buckets: int = 64, cut: bool = True, unit: Column | None = None) -> DataFrame:
     """Adds ``out``: the row's position among the rows of its class, gapless from 0.
 
     The order is by (bucket, ``order``); rows equal in all of ``order`` are
-    interchangeable.  ``buckets`` should grow with rows / rows a task can sort.
+    interchangeable.  ``buckets`` should grow with rows / rows a task can sort.  With
+    ``unit``, a number in [0, 1) by which ``order`` begins, buckets are its slices and the
+    order is that of ``order`` throughout.
     """
     b, n = "__bucket", "__n"
-    spread = df.withColumn(b, F.pmod(F.xxhash64(*order), F.lit(buckets)).cast("int"))
+    slice_ = F.pmod(F.xxhash64(*order), F.lit(buckets)) if unit is None else F.floor(unit * buckets)
+    spread = df.withColumn(b, slice_.cast("int"))
     local = spread.withColumn("__local", F.row_number().over(Window.partitionBy(*classes, b).orderBy(*order)) - 1)
     local = materialize(local, "rank") if cut else local
     counts = local.groupBy(*classes, b).agg(F.count("*").alias(n))

@@ -105,7 +105,18 @@ on_graph("plain_edge_sample", "commerce", lambda g: edges_of(S.plain_edge_sample
 # walks --------------------------------------------------------------------------------
 
 on_graph("rw_multi", "sessions", lambda g: edges_of(W.random_walk(g, SHARE, SEED, walkers=50)), None)
-on_graph("rw_single_trace", "sessions", lambda g: W.walk_trace(g, 12, SEED), None)
+_CHANCE, _TO = (unit_random_sql(SEED, k, "0", "step + 1") for k in ("jump", "to"))
+SINGLE_WALK = (
+    f"ix AS (SELECT id, row_number() OVER (ORDER BY {unit_random_sql(SEED, 'index', 'id')}, id) - 1 AS idx FROM v), "
+    f"rk AS (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY {unit_random_sql(SEED, 'edge', 'edge_id')}, edge_id) AS rank FROM e), "
+    "w(step, here, gone, seen, kind) AS (SELECT 0, id, []::BIGINT[], [id], 'start' FROM (SELECT id FROM v ORDER BY " + unit_random_sql(SEED, "start", "id") + ", id LIMIT 1) UNION ALL "
+    "SELECT step + 1, coalesce(m.dst, j.id), CASE WHEN m.dst IS NULL THEN gone ELSE list_append(gone, here) END, list_append(seen, coalesce(m.dst, j.id)), "
+    f"CASE WHEN m.dst IS NOT NULL THEN 'walk' WHEN {_CHANCE} <= 0.1 THEN 'jump' ELSE 'stuck' END "
+    f"FROM w JOIN ix i ON i.id = w.here LEFT JOIN rk m ON m.src = w.here AND {_CHANCE} > 0.1 AND m.rank = len(list_filter(gone, lambda x: x = here)) + 1 "
+    f"LEFT JOIN ix j ON m.dst IS NULL AND j.idx = floor({_TO} * ((SELECT count(*) FROM v) - 1))::BIGINT + CASE WHEN floor({_TO} * ((SELECT count(*) FROM v) - 1)) >= i.idx THEN 1 ELSE 0 END "
+    "WHERE len(list_distinct(seen)) < 12)"
+)
+on_graph("rw_single_trace", "sessions", lambda g: W.walk_trace(g, 12, SEED), "SELECT 0::INTEGER AS walker, step::INTEGER AS step, here AS \"at\", kind FROM w", SINGLE_WALK)
 on_graph("rw_exceed_merge_counters", "similar_items", lambda g: W.walk_counters(W.walk_trace(g, 150, SEED, walkers=30, stop="exceed", on_meet="merge")), None)
 on_graph("rw_scan_trace", "sessions", lambda g: W.walk_trace(g, 60, SEED, walkers=20, adjacency="scan"), None)
 on_graph("rw_ranked_trace", "sessions", lambda g: W.walk_trace(g, 60, SEED, walkers=20), None)
@@ -253,7 +264,8 @@ on_graph("top_hubs", "commerce", lambda g: M.degrees(g).orderBy(F.desc("degree")
 on_graph("top_hubs_by_label", "commerce", lambda g: M.degrees(g).join(g.vertices.select("id", "label"), "id").withColumn("r", F.row_number().over(Window.partitionBy("label").orderBy(F.desc("degree"), "id"))).where("r <= 3").select("label", "id", "r"), "SELECT CASE id % 8 WHEN 0 THEN 'customer' WHEN 1 THEN 'supplier' WHEN 2 THEN 'part' WHEN 3 THEN 'orders' WHEN 4 THEN 'nation' ELSE 'region' END AS label, id, row_number() OVER (PARTITION BY id % 8 ORDER BY degree DESC, id)::INTEGER AS r FROM d QUALIFY r <= 3", DEG)
 on_graph("degree_quantiles", "commerce", lambda g: M.degrees(g).agg(F.expr("percentile(degree, 0.5)").alias("p50"), F.expr("percentile(degree, 0.99)").alias("p99"), F.expr("max(degree)").alias("top")), "SELECT quantile_cont(degree, 0.5) AS p50, quantile_cont(degree, 0.99) AS p99, max(degree) AS top FROM d", DEG)
 on_graph("degree_log_bins", "commerce", lambda g: M.degrees(g).where("degree > 0").groupBy(F.floor(F.log2("degree")).alias("bin")).agg(F.count("*").alias("vertices")), "SELECT floor(log2(degree))::BIGINT AS bin, count(*) AS vertices FROM d WHERE degree > 0 GROUP BY 1", DEG)
-on_graph("ranked_out_edges", "sessions", lambda g: g.edges.select("edge_id", F.row_number().over(Window.partitionBy("src").orderBy(unit_random(SEED, "edge", "edge_id"), "edge_id")).alias("rank")), f"SELECT edge_id, row_number() OVER (PARTITION BY src ORDER BY {unit_random_sql(SEED, 'edge', 'edge_id')}, edge_id)::INTEGER AS rank FROM e")
+on_graph("ranked_out_edges", "sessions", lambda g: W.ranked_out_edges(g.edges, SEED).select("edge_id", "rank"), f"SELECT edge_id, row_number() OVER (PARTITION BY src ORDER BY {unit_random_sql(SEED, 'edge', 'edge_id')}, edge_id)::INTEGER AS rank FROM e")
+on_graph("ranked_out_edges_hubs", "trade", lambda g: W.ranked_out_edges(g.edges, SEED, hub=50).select("edge_id", "rank"), f"SELECT edge_id, row_number() OVER (PARTITION BY src ORDER BY {unit_random_sql(SEED, 'edge', 'edge_id')}, edge_id)::INTEGER AS rank FROM e")
 on_graph("union_of_samples", "commerce", lambda g: S.random_vertex(g, 0.2, 1).vertices.select("id").union(S.random_vertex(g, 0.2, 2).vertices.select("id")).distinct(), None)
 on_graph("edges_in_both_samples", "commerce", lambda g: edges_of(S.random_edge(g, SHARE, 1)).intersect(edges_of(S.random_edge(g, SHARE, 2))), f"SELECT edge_id, src, dst FROM e WHERE {unit_random_sql(1, 'e', 'edge_id')} <= {SHARE} AND {unit_random_sql(2, 'e', 'edge_id')} <= {SHARE}")
 on_graph("edges_in_one_sample_only", "commerce", lambda g: edges_of(S.random_edge(g, SHARE, 1)).exceptAll(edges_of(S.random_edge(g, SHARE, 2))), f"SELECT edge_id, src, dst FROM e WHERE {unit_random_sql(1, 'e', 'edge_id')} <= {SHARE} AND {unit_random_sql(2, 'e', 'edge_id')} > {SHARE}")
