@@ -7,9 +7,10 @@ per walker and superstep, whatever the degree.  State is of the size of what was
 the graph itself is read, never rewritten.  Walkers are a bounded parameter and are
 broadcast to the ranked edges.
 
-A superstep is a DataFrame transformation whose result, a row per walker, is written to
-the shared folder, which cuts the lineage; what was visited and departed from is folded
-together every few supersteps.  The driver sees one count per superstep.
+A superstep is a DataFrame transformation whose result has a row per walker, so the driver
+holds it, a bounded number; departures and the trace go to the shared folder every few
+supersteps, which cuts the lineage.  Visited vertices are counted only at supersteps at
+which the target can have been reached.
 """
 
 from __future__ import annotations
@@ -17,6 +18,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 from math import ceil
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -76,7 +78,7 @@ def _jump_target(seed: int, size: int, source: str):
 
 def _land(p: Prepared, w: DataFrame, moved: DataFrame, step: int, seed: int, source: str) -> DataFrame:
     """(walker, at, at_idx, kind, src, edge_id): the walkers that moved along an edge, and the others after a jump."""
-    w = w.join(moved, "walker", "left")
+    w = w.join(F.broadcast(moved), "walker", "left")  # a row per walker at most
     jumpers = w.where("dst is null").withColumn("idx", _jump_target(seed, p.size, source))
     landed = p.index.join(F.broadcast(jumpers.select("walker", "idx", "chance")), "idx")
     kind, none = F.when(F.col("chance"), "jump").otherwise("stuck"), F.lit(None).cast("long")
@@ -88,7 +90,9 @@ def _shared_step(p: Prepared, walkers: DataFrame, gone: DataFrame, step: int, se
     """One superstep with edge marks shared by all walkers; ``gone``: (src, n) departures so far."""
     w = walkers.select("walker", "at", "at_idx").withColumn("step", F.lit(step)).withColumn("chance", unit_random(seed, "jump", "walker", "step", source=source) <= jump)
     turn = F.row_number().over(Window.partitionBy("at", "chance").orderBy("walker"))
-    w = w.join(gone, w["at"] == gone["src"], "left").drop("src").withColumn("want", F.coalesce("n", F.lit(0)) + turn).drop("n")
+    here = F.broadcast(walkers.select(F.col("at").alias("src")).distinct())
+    left = gone.join(here, "src", "left_semi").groupBy("src").agg(F.sum("n").alias("n"))  # a row per walker at most
+    w = w.join(F.broadcast(left.toDF("at", "n")), "at", "left").withColumn("want", F.coalesce("n", F.lit(0)) + turn).drop("n")
     go = w.where("not chance").select("walker", F.col("at").alias("src"), F.col("want").alias("rank"))
     moved = p.ranked.join(F.broadcast(go), ["src", "rank"]).select("walker", "edge_id", "dst", "dst_idx")
     return _land(p, w, moved, step, seed, source)
@@ -134,37 +138,68 @@ def walk_trace(g: PropertyGraph, target: int, seed: int = 7, walkers: int = 1, j
     first = p.index.orderBy(*draw).limit(walkers)
     none = F.lit(None).cast("long")
     start = first.select((F.row_number().over(Window.orderBy(*draw)) - 1).cast("int").alias("walker"), F.lit(0).alias("step"), F.col("id").alias("at"), F.col("idx").alias("at_idx"), F.lit("start").alias("kind"), none.alias("src"), none.alias("edge_id"))
-    log = [materialize(start.coalesce(1), "walkers")]
-    now, step, shared, scan = log[0], 0, edge_memory == "shared", edge_memory == "shared" and adjacency == "scan"
+    hold = _Holder(g.spark, walkers)
+    now, step, shared, scan = hold.keep(start), 0, edge_memory == "shared", edge_memory == "shared" and adjacency == "scan"
     gone = g.spark.createDataFrame([], "src bigint, edge_id bigint" if scan else "src bigint, n bigint" if shared else "walker int, edge_id bigint")
-    visited = materialize(now.select("at").distinct(), "visited")
+    sure = 0  # before this superstep even fresh vertices only cannot reach the target
     while True:
-        n = visited.count()
-        if p.size == 0 or step >= max_supersteps or (n >= target if stop == "reach" else n > target):
-            seen = log[0]
-            for t in log[1:]:
-                seen = seen.union(t)
-            return seen.select("walker", "step", "at", "kind")
+        if step >= sure:
+            n = hold.trace().select("at").distinct().count()
+            if p.size == 0 or (n >= target if stop == "reach" else n > target):
+                return hold.trace().select("walker", "step", "at", "kind")
+            sure = step + max(1, -(-(target - n + (stop == "exceed")) // max(walkers, 1)))
+        if step >= max_supersteps:
+            return hold.trace().select("walker", "step", "at", "kind")
         step += 1
         moves = (_scan_step if scan else _shared_step if shared else _own_step)(p, now, gone, step, seed, jump, source)
         if on_meet == "merge":
             keep = F.row_number().over(Window.partitionBy("at").orderBy("walker"))
             moves = moves.withColumn("k", keep).where("k = 1").drop("k")
-        now = materialize(moves.select("walker", F.lit(step).alias("step"), "at", "at_idx", "kind", "src", "edge_id").coalesce(1 + walkers // 10_000), "walkers")
+        now = hold.keep(moves.select("walker", F.lit(step).alias("step"), "at", "at_idx", "kind", "src", "edge_id"))
         left = now.where("edge_id is not null")
         if scan:
             gone = gone.union(left.select("src", "edge_id"))
+        elif shared:
+            gone = gone.union(left.groupBy("src").agg(F.count("*").alias("n")))
         else:
-            gone = gone.union(left.groupBy("src").agg(F.count("*").alias("n"))).groupBy("src").agg(F.sum("n").alias("n")) if shared else gone.union(left.select("walker", "edge_id"))
-        visited = visited.union(now.select("at")).distinct()
-        log.append(now)
+            gone = gone.union(left.select("walker", "edge_id"))
         if step % CUT == 0:
-            gone, visited = materialize(gone, "gone"), materialize(visited, "visited")
-            if len(log) > 4 * CUT:
-                whole = log[0]
-                for t in log[1:]:
-                    whole = whole.union(t)
-                log = [materialize(whole.coalesce(1 + walkers * step // 1_000_000), "walkers")]
+            gone = gone.groupBy("src").agg(F.sum("n").alias("n")) if shared and not scan else gone
+            gone = materialize(gone.coalesce(1 + walkers * step // 1_000_000), "gone")
+
+
+class _Holder:
+    """The walkers after each superstep.
+
+    Up to ``LOCAL`` walkers, a parameter and not a function of the data, the driver holds
+    their latest rows; what they did goes to the shared folder every few supersteps.  More
+    walkers are written at each superstep.
+    """
+
+    LOCAL = 100_000
+
+    def __init__(self, spark, walkers: int):
+        self.spark, self.local = spark, walkers <= self.LOCAL
+        self.fresh: list[pa.Table] = []
+        self.tables: list[DataFrame] = []
+
+    def keep(self, rows: DataFrame) -> DataFrame:
+        if not self.local:
+            self.tables.append(materialize(rows, "walkers"))
+            return self.tables[-1]
+        self.fresh.append(rows.toArrow())
+        now = self.spark.createDataFrame(self.fresh[-1]).coalesce(1)
+        if len(self.fresh) >= 4 * CUT:
+            self.tables.append(materialize(self.spark.createDataFrame(pa.concat_tables(self.fresh)).coalesce(1), "trace"))
+            self.fresh = []
+        return now
+
+    def trace(self) -> DataFrame:
+        parts = [*self.tables, *([self.spark.createDataFrame(pa.concat_tables(self.fresh))] if self.fresh else [])]
+        whole = parts[0]
+        for part in parts[1:]:
+            whole = whole.union(part)
+        return whole
 
 
 def random_walk(g: PropertyGraph, s: float | None = None, seed: int = 7, walkers: int = 1, jump: float = 0.1, target: int | None = None, edge_memory: str = "shared", stop: str = "reach", on_meet: str = "keep", max_supersteps: int = 10_000, source: str = "portable", keep_isolated: bool = False) -> PropertyGraph:
