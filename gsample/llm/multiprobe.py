@@ -111,7 +111,7 @@ def fit(sample: np.ndarray, n: int, k: int, recall: float) -> Hashing:
     return model
 
 
-def nearest(df: DataFrame, queries: Callable[[Column], Column], k: int = 10, id: str = "vec_id", vector: str = "embedding", recall: float = 0.97) -> DataFrame:
+def nearest(df: DataFrame, queries: Callable[[Column], Column], k: int = 10, id: str = "vec_id", vector: str = "embedding", recall: float = 0.99) -> DataFrame:
     """(query_id, rank, id, score): the ``k`` nearest found for each row whose id ``queries`` picks."""
     spark, kind = df.sparkSession, vectors.number_type(df, vector)
 
