@@ -8,6 +8,8 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.materialize import materialize
+
 
 @dataclass(frozen=True)
 class PropertyGraph:
@@ -104,8 +106,12 @@ def heterogeneous(parts: list[DataFrame]) -> DataFrame:
 
 
 def validate_sample(g: PropertyGraph, sample: PropertyGraph) -> DataFrame:
-    """(rule, violations): the constraints on a sample, and that no vertex is isolated."""
-    v, e = sample.vertices, sample.edges
+    """(rule, violations): the constraints on a sample, and that no vertex is isolated.
+
+    The sample is written once, since every rule reads it.
+    """
+    v = materialize(sample.vertices.select("id"), "sample")
+    e = materialize(sample.edges.select("edge_id", "src", "dst"), "sample")
     checks = {
         "vertices_of_graph": v.select("id").join(g.vertices.select("id"), "id", "left_anti"),
         "edges_of_graph": e.select("edge_id", "src", "dst").join(g.edges.select("edge_id", "src", "dst"), ["edge_id", "src", "dst"], "left_anti"),
