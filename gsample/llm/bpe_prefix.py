@@ -30,6 +30,9 @@ from pyspark.sql import DataFrame
 MEMO_ENTRIES = 300_000
 
 
+_SHORT = (2, 1)
+
+
 class PrefixBpe:
     """Encoder and decoder over mergeable ranks: {token bytes: rank}."""
 
@@ -37,10 +40,12 @@ class PrefixBpe:
         self.ranks = ranks
         self.bytes_of = {r: t for t, r in ranks.items()}
         self.longest = max(map(len, ranks))
-        #: longest token by its last two bytes, so that few suffixes are tried
-        self.reach: dict[bytes, int] = {}
+        #: lengths of tokens by their last three bytes, longest first, so that few suffixes are tried
+        ends: dict[bytes, set[int]] = {}
         for t in ranks:
-            self.reach[t[-2:]] = max(self.reach.get(t[-2:], 0), len(t))
+            if len(t) > 2:
+                ends.setdefault(t[-3:], {1, 2}).add(len(t))
+        self.reach = {t: tuple(sorted(n, reverse=True)) for t, n in ends.items()}
         self._beside: dict[int, bool] = {}
         self.halves: dict[int, tuple[int, int]] = {}
         self.merged: dict[tuple[int, int], int] = {}
@@ -89,11 +94,13 @@ class PrefixBpe:
 
     def extend(self, data: bytes, last: list[int]) -> None:
         """Fills ``last`` up to ``data``; last[i] ends the encoding of the first i+1 bytes."""
-        ranks, reach, beside = self.ranks, self.reach, self._beside
+        ranks, reach, beside = self.ranks.get, self.reach.get, self._beside
         for end in range(len(last) + 1, len(data) + 1):
-            longest = reach.get(data[end - 2 : end], 1) if end > 1 else 1
-            for start in range(max(0, end - longest), end):
-                t = ranks.get(data[start:end])
+            for length in reach(data[end - 3 : end], _SHORT) if end > 2 else _SHORT:
+                start = end - length
+                if start < 0:
+                    continue
+                t = ranks(data[start:end])
                 if t is None:
                     continue
                 if start == 0:
@@ -190,16 +197,36 @@ class TextEncoder:
                 before, ids = data, codec.walk_back(last)
             self.memo[word] = b"".join(i.to_bytes(4, "little") for i in ids)
 
-    def encode(self, text: str) -> bytes:
-        """Ids as little-endian unsigned 32-bit integers."""
-        words = self.find(text)
-        new = set(words).difference(self.memo)
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        """Ids of each text as little-endian unsigned 32-bit integers; new matches of all are learned together."""
+        words = [self.find(t) for t in texts]
+        new = set().union(*words).difference(self.memo)
         if new:
             if len(self.memo) > MEMO_ENTRIES:
                 self.memo.clear()
-                new = set(words)
+                new = set().union(*words)
             self.learn(new)
-        return b"".join(map(self.memo.__getitem__, words))
+        known = self.memo.__getitem__
+        return [b"".join(map(known, w)) for w in words]
+
+    def encode(self, text: str) -> bytes:
+        return self.encode_all([text])[0]
+
+
+#: Characters of the texts that are encoded together (one text, if it is longer).
+TOGETHER = 1_000_000
+
+
+def _handfuls(texts: list[str | None]) -> Iterator[list[str]]:
+    held, size = [], 0
+    for t in texts:
+        held.append(t or "")
+        size += len(t or "")
+        if size >= TOGETHER:
+            yield held
+            held, size = [], 0
+    if held:
+        yield held
 
 
 def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -212,9 +239,9 @@ def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, id: str = "
         encoder = TextEncoder(codec, pattern)
         table = codec.bytes_of.__getitem__
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
-                ids = [encoder.encode(t or "") for t in part.column(1).to_pylist()]
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                ids = [x for texts in _handfuls(part.column(1).to_pylist()) for x in encoder.encode_all(texts)]
                 decoded = [b"".join(map(table, np.frombuffer(x, "<u4").tolist())) for x in ids]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, pa.binary()), pa.array(decoded, pa.binary())], names=[id, "ids", "decoded"])
 
