@@ -129,3 +129,10 @@ def test_packing_of_odd_texts(odd, no_docs, library):
         times = 3 if r["doc_id"] == 0 else 1
         assert b"".join(bytes(x["ids"]) for x in mine[::times]) == b"".join(i.to_bytes(4, "little") for i in ids)
         assert all(x["doc_tokens"] == len(ids) for x in mine)
+
+
+def test_batches_of_many_rows_lose_none(spark):
+    docs = spark.range(3000).selectExpr("id AS doc_id", "concat('row ', id) AS text").coalesce(1)
+    ids = list(range(3000))
+    for out in (encode_documents(docs, RANKS, P.PATTERN), count_tokens(docs, JSON), pack_documents(docs, JSON, RANKS, P.PATTERN)):
+        assert sorted(r["doc_id"] for r in out.select("doc_id").collect()) == ids
