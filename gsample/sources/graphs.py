@@ -72,15 +72,53 @@ def _paired(pair: DataFrame, label: str) -> DataFrame:
     return pair.select((F.col("src") * PAIR + F.col("dst")).alias("edge_id"), "src", "dst", F.lit(label).alias("label"))
 
 
+def _long_lines(docs: DataFrame, shortest: int) -> DataFrame:
+    """(d, line): documents and the names of their trimmed lines of ``shortest`` characters or more."""
+    line = docs.select(F.col("doc_id").alias("d"), F.explode(F.split("text", "\n")).alias("line")).select("d", F.trim("line").alias("line"))
+    return line.where(F.length("line") >= shortest).select("d", F.md5(F.col("line").cast("binary")).alias("line")).distinct()
+
+
+def _documents(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").alias("id"), F.lit("document").alias("label"))
+
+
 def doc_overlap(spark: SparkSession, sf_dir: str, shortest: int = 40, most: int = 50) -> PropertyGraph:
-    """Documents that share a trimmed line of ``shortest`` characters or more; lines of over ``most`` documents are no relation."""
+    """Documents that share a trimmed line of ``shortest`` characters or more; lines of over ``most`` documents are no relation.
+
+    ``doc_overlap_all`` keeps those lines too.
+    """
     docs = table(spark, sf_dir, "documents")
-    line = docs.select(F.col("doc_id").alias("d"), F.explode(F.split("text", "\n")).alias("line")).select("d", F.trim("line").alias("line"))
-    line = line.where(F.length("line") >= shortest).select("d", F.md5(F.col("line").cast("binary")).alias("line")).distinct()
+    line = _long_lines(docs, shortest)
     few = line.groupBy("line").count().where(F.col("count").between(2, most)).select("line")
     kept = line.join(few, "line", "left_semi").select("d", "line")
     pair = kept.toDF("src", "line").join(kept.toDF("dst", "line"), "line").where("src < dst").select("src", "dst").distinct()
-    return PropertyGraph(docs.select(F.col("doc_id").alias("id"), F.lit("document").alias("label")), _paired(pair, "shares_line"))
+    return PropertyGraph(_documents(docs), _paired(pair, "shares_line"))
+
+
+def doc_overlap_all(spark: SparkSession, sf_dir: str, shortest: int = 40, slice: int = 500) -> PropertyGraph:
+    """Documents that share a trimmed line of ``shortest`` characters or more, however many hold it.
+
+    The edges of a line grow with the square of its documents, by definition; they are made
+    in slices of about ``slice`` of its documents, each against all of them.  Where only
+    reachability is asked for, ``doc_overlap_stars`` says the same in linear size.
+    """
+    docs = table(spark, sf_dir, "documents")
+    line = _long_lines(docs, shortest)
+    slices = line.groupBy("line").count().where("count > 1").select("line", F.ceil(F.col("count") / slice).cast("int").alias("slices"))
+    held = line.join(slices, "line")
+    left = held.select(F.col("d").alias("src"), "line", F.pmod(F.xxhash64("d"), F.col("slices")).cast("int").alias("slice"))
+    right = held.select(F.col("d").alias("dst"), "line", F.explode(F.sequence(F.lit(0), F.col("slices") - 1)).alias("slice"))
+    pair = left.join(right, ["line", "slice"]).where("src < dst").select("src", "dst").distinct()
+    return PropertyGraph(_documents(docs), _paired(pair, "shares_line"))
+
+
+def doc_overlap_stars(spark: SparkSession, sf_dir: str, shortest: int = 40) -> PropertyGraph:
+    """``doc_overlap_all`` with a star for each line, from its smallest document to the others: the same components and isolated vertices."""
+    docs = table(spark, sf_dir, "documents")
+    line = _long_lines(docs, shortest)
+    first = line.groupBy("line").agg(F.min("d").alias("src"))
+    pair = line.join(first, "line").where("src < d").select("src", F.col("d").alias("dst")).distinct()
+    return PropertyGraph(_documents(docs), _paired(pair, "shares_line"))
 
 
 def similar_items(spark: SparkSession, sf_dir: str, k: int = 10, largest: int = 20_000) -> PropertyGraph:
@@ -162,7 +200,9 @@ def benchmark_overlap(spark: SparkSession, sf_dir: str, shortest: int = 40) -> P
     return PropertyGraph(v.union(table(spark, sf_dir, "documents").select(F.col("doc_id") * 2 + 1, F.lit("document"))), edges)
 
 
-GRAPHS: dict[str, Callable[[SparkSession, str], PropertyGraph]] = {f.__name__: f for f in (commerce, co_purchase, doc_overlap, similar_items, sessions, page_links, replies, trade, benchmark_overlap)}
+GRAPHS: dict[str, Callable[[SparkSession, str], PropertyGraph]] = {f.__name__: f for f in (commerce, co_purchase, doc_overlap, doc_overlap_all, doc_overlap_stars, similar_items, sessions, page_links, replies, trade, benchmark_overlap)}
+
+_LINES_SQL = "l AS (SELECT DISTINCT d, line FROM (SELECT doc_id AS d, trim(unnest(string_split(text, chr(10)))) AS line FROM documents) WHERE length(line) >= 40)"
 
 _EVENT_SQL = "(user_id * 8 + CASE event_type " + " ".join(f"WHEN '{k}' THEN {v}" for k, v in EVENT_CODES.items()) + " END)"
 
@@ -177,6 +217,8 @@ GRAPH_SQL: dict[str, tuple[str, str]] = {
         "SELECT doc_id AS id FROM documents",
         f"SELECT src * {PAIR} + dst AS edge_id, src, dst FROM (WITH l AS (SELECT DISTINCT d, line FROM (SELECT doc_id AS d, trim(unnest(string_split(text, chr(10)))) AS line FROM documents) WHERE length(line) >= 40), k AS (SELECT line FROM l GROUP BY line HAVING count(*) BETWEEN 2 AND 50) SELECT DISTINCT a.d AS src, b.d AS dst FROM (SELECT * FROM l SEMI JOIN k USING (line)) a JOIN l b USING (line) WHERE a.d < b.d)",
     ),
+    "doc_overlap_all": ("SELECT doc_id AS id FROM documents", f"SELECT src * {PAIR} + dst AS edge_id, src, dst FROM (WITH {_LINES_SQL} SELECT DISTINCT a.d AS src, b.d AS dst FROM l a JOIN l b USING (line) WHERE a.d < b.d)"),
+    "doc_overlap_stars": ("SELECT doc_id AS id FROM documents", f"SELECT src * {PAIR} + dst AS edge_id, src, dst FROM (WITH {_LINES_SQL} SELECT DISTINCT src, d AS dst FROM l JOIN (SELECT line, min(d) AS src FROM l GROUP BY line) USING (line) WHERE src < d)"),
     "similar_items": (
         "SELECT vec_id AS id FROM embeddings",
         f"SELECT src * {PAIR} + dst AS edge_id, src, dst FROM (SELECT a.vec_id AS src, b.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) DESC, b.vec_id) AS r FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) WHERE r <= 10",

@@ -145,12 +145,15 @@ def rounded(df: DataFrame, digits: int = 12) -> DataFrame:
     return df.select(*(F.round(c, digits).alias(c) if t == "double" else F.col(c) for c, t in df.dtypes))
 
 
-for _g in ("commerce", "co_purchase", "doc_overlap", "sessions", "similar_items", "page_links"):
+for _g in ("commerce", "co_purchase", "doc_overlap", "doc_overlap_all", "sessions", "similar_items", "page_links"):
     for _m, (_sql, _more) in METRIC_SQL.items():
         on_graph(f"metric_{_m}_{_g}", _g, lambda g, m=_m: rounded(M.METRICS[m](g), 9 if m in ("local_clustering", "degree") else 12), _sql, *_more)
 for _g in ("doc_overlap", "sessions", "replies"):
     on_graph(f"wcc_{_g}", _g, M.weakly_connected_components, "SELECT id, component FROM c", REACH, WCC_SQL)
     on_graph(f"metric_wcc_{_g}", _g, M.wcc_count, "SELECT count(DISTINCT component) AS wcc FROM c", REACH, WCC_SQL)
+# reachability by the stars of lines, held against the SQL of all pairs
+CASES["wcc_doc_overlap_all"] = (lambda s, d: M.weakly_connected_components(graph(s, d, "doc_overlap_stars")), with_graph("doc_overlap_all", "SELECT id, component FROM c", REACH, WCC_SQL))
+CASES["metric_wcc_doc_overlap_all"] = (lambda s, d: M.wcc_count(graph(s, d, "doc_overlap_stars")), with_graph("doc_overlap_all", "SELECT count(DISTINCT component) AS wcc FROM c", REACH, WCC_SQL))
 on_graph("metric_wcc_commerce", "commerce", M.wcc_count, None)
 on_graph("graph_metrics_sessions", "sessions", lambda g: M.graph_metrics(g).select("vertices", "edges", "triangles", "wcc", "d_min", "d_max"), "SELECT (SELECT count(*) FROM v) AS vertices, (SELECT count(*) FROM e) AS edges, (SELECT count(*) FROM t) AS triangles, (SELECT count(DISTINCT component) FROM c) AS wcc, (SELECT min(degree) FROM d) AS d_min, (SELECT max(degree) FROM d) AS d_max", SIMPLE, TRI, DEG, REACH, WCC_SQL)
 on_graph("triangles_brute_co_purchase", "co_purchase", lambda g: M.triangle_count(g, "brute"), "SELECT count(*) AS triangles FROM t", SIMPLE, TRI)
@@ -192,15 +195,18 @@ def metric_table(spark: SparkSession, sf_dir: str, name: str, walkers: int) -> D
 
 
 CASES["metric_table_doc_overlap"] = (lambda spark, d: metric_table(spark, d, "doc_overlap", 40), None)
+CASES["metric_table_doc_overlap_all"] = (lambda spark, d: metric_table(spark, d, "doc_overlap_all", 40), None)
 
 
-@case("layout_doc_overlap")
-def layout(spark: SparkSession, sf_dir: str) -> DataFrame:
+def layout(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """The drawing of the original, and a sample's vertices at the same places."""
-    g = graph(spark, sf_dir, "doc_overlap")
+    g = graph(spark, sf_dir, name)
     return C.visual_frame(C.force_layout(g, rounds=4), S.random_vertex(g, SHARE, SEED))
 
 
+for _g in ("doc_overlap", "doc_overlap_all"):
+    CASES[f"layout_{_g}"] = (lambda spark, d, g=_g: layout(spark, d, g), None)
+
 # what stands around the samplers ----------------------------------------------------------
 
 CASES["dataflow_filter"] = (lambda s, d: transform_filter(table(s, d, "events"), F.col("event_type") == "view").select("event_id"), "SELECT event_id FROM events WHERE event_type = 'view'")
@@ -249,7 +255,15 @@ def data_source(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 for _h in ("broadcast", "merge", "shuffle_hash"):
     on_graph(f"flags_join_{_h}", "trade", lambda g, h=_h: g.edges.join(S.flag_vertices(g, 0.1, SEED, "portable").select(F.col("id").alias("src"), "sampled").hint(h), "src").where("sampled").groupBy("src").agg(F.count("*").alias("edges")), f"SELECT src, count(*) AS edges FROM e WHERE {U_SRC} <= 0.1 GROUP BY src")
-on_graph("isolated_vertices", "doc_overlap", lambda g: g.vertices.select("id").join(endpoints(g.edges), "id", "left_anti"), "SELECT id FROM v ANTI JOIN (SELECT src AS id FROM e UNION SELECT dst FROM e) USING (id)")
+ISOLATED = "SELECT id FROM v ANTI JOIN (SELECT src AS id FROM e UNION SELECT dst FROM e) USING (id)"
+
+
+def isolated(g: PropertyGraph) -> DataFrame:
+    return g.vertices.select("id").join(endpoints(g.edges), "id", "left_anti")
+
+
+on_graph("isolated_vertices", "doc_overlap", isolated, ISOLATED)
+CASES["isolated_vertices_all"] = (lambda s, d: isolated(graph(s, d, "doc_overlap_stars")), with_graph("doc_overlap_all", ISOLATED))
 on_graph("sample_with_properties", "trade", lambda g: S.random_edge(g, 0.05, SEED).edges.select("edge_id", F.round("l_extendedprice", 2).alias("price")), f"SELECT p.k AS edge_id, round(l_extendedprice, 2) AS price FROM (SELECT *, {GRAPH_SQL['trade'][1].split(' AS edge_id')[0].removeprefix('SELECT ')} AS k FROM lineitem) p WHERE {unit_random_sql(SEED, 'e', 'p.k')} <= 0.05")
 on_graph("reverse_edges", "sessions", lambda g: edges_of(g.reverse()), "SELECT edge_id, dst AS src, src AS dst FROM e")
 on_graph("undirected_projection", "sessions", lambda g: simple_undirected(g.edges), "SELECT a, b FROM u", SIMPLE)
