@@ -12,8 +12,8 @@ found with the wanted recall.  Large buckets are cut into parts by a count of ea
 
 Defined results: vectors that are null, empty, zero or hold null or non-finite components,
 and rows with a null id, take no part; only vectors of the query's dimension are
-candidates; ties go to the smaller id; rows that repeat an id count once; fewer candidates
-than wanted are all returned.
+candidates; ties go to the smaller id; rows that repeat an id count once, at the smallest
+distance of any, before the best are picked; fewer candidates than wanted are all returned.
 """
 
 from __future__ import annotations
@@ -122,7 +122,7 @@ def nearest(df: DataFrame, queries: Callable[[Column], Column], k: int = 10, id:
             yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(keep, pa.int64())), pa.array([vectors.pack(found[j], kind) for j in keep], pa.binary())], names=["id", "vec"])
 
     valid = df.where(F.col(id).isNotNull()).select(F.col(id).cast("long").alias("id"), vector).mapInArrow(check, "id bigint, vec binary")
-    valid = materialize(valid, "vectors")
+    valid = materialize(valid.distinct(), "vectors")
     n = valid.count()
     picked = [np.frombuffer(bytes(r["vec"]), kind).astype(np.float64) for r in valid.orderBy(F.xxhash64("id"), "id").limit(FIT).select("vec").collect()]
     widths = [len(v) for v in picked]
@@ -165,15 +165,21 @@ def nearest(df: DataFrame, queries: Callable[[Column], Column], k: int = 10, id:
         if a.num_rows and b.num_rows:
             q, x = vectors.unpack(a.column("query_vec"), kind), vectors.unpack(b.column("vec"), kind)
             query, ids = a.column("query").to_numpy(), b.column("id").to_numpy()
+            order = np.argsort(ids, kind="stable")  # the rows of one id stand together
+            x, ids = x[order], ids[order]
+            starts = np.flatnonzero(np.append(True, ids[1:] != ids[:-1]))
             squares = (x * x).sum(1)
             for at in range(0, len(q), 64):
                 rough = (q[at : at + 64] ** 2).sum(1)[:, None] + squares - 2 * q[at : at + 64] @ x.T
+                rough[query[at : at + 64, None] == ids] = np.inf
+                nearest_rows = np.minimum.reduceat(rough, starts, axis=1)  # one for each id
+                last = min(k, len(starts)) - 1
                 for j, row in enumerate(rough):
-                    row[ids == query[at + j]] = np.inf
-                    some = np.flatnonzero(row <= np.partition(row, min(k, len(row)) - 1)[min(k, len(row)) - 1] + 1e-9 * (1 + squares.max()))
+                    some = np.flatnonzero(row <= np.partition(nearest_rows[j], last)[last] + 1e-9 * (1 + squares.max() + (q[at + j] ** 2).sum()))
                     some = some[np.isfinite(row[some])]
                     exact = np.sqrt(((x[some] - q[at + j]) ** 2).sum(1))
-                    best = np.lexsort((ids[some], exact))[:k]
+                    best = np.lexsort((ids[some], exact))
+                    best = best[np.sort(np.unique(ids[some][best], return_index=True)[1])[:k]]  # the first row of each id
                     found.append((np.full(len(best), query[at + j]), ids[some][best], exact[best]))
         columns = [np.concatenate(c) for c in zip(*found, strict=True)] if found else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
         return pa.table(dict(zip(("query_id", "id", "score"), columns, strict=True)))

@@ -92,3 +92,23 @@ def test_recall_on_the_given_vectors(spark, sf):
         d[ids == r["query_id"]] = np.inf
         hit += len(set(ids[np.lexsort((ids, d))[:10]]) & set(r["v"]))
     assert hit / (10 * len(out)) >= 0.9
+
+
+@pytest.mark.parametrize("part", [20_000, 16])
+def test_rows_that_repeat_an_id_count_once(vectors, monkeypatch, part):
+    """Copies of whole rows, and other vectors of an id, take no places of other ids."""
+    monkeypatch.setattr(multiprobe, "PART", part)
+    rows, df = vectors
+    once = {tuple(r) for r in nearest(df, lambda c: c % 10 == 0).collect()}
+    assert {tuple(r) for r in nearest(df.union(df).union(df), lambda c: c % 10 == 0).collect()} == once
+
+
+def test_an_id_of_many_vectors_takes_one_place(spark):
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(40, 8))
+    rows = [(k, v.tolist()) for k, v in enumerate(x)] + [(50, (x[0] + rng.normal(size=8) * 1e-3).tolist()) for _ in range(15)]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
+    got = [r["vec_id"] for r in nearest(df, lambda c: c == 0).orderBy("rank").collect()]
+    exact = sorted((float(min(((np.array(v) - x[0]) ** 2).sum() for i, v in rows if i == j)), j) for j in {i for i, _ in rows} - {0})
+    assert len(got) == 10 and got[0] == 50
+    assert len(set(got) & {j for _, j in exact[:10]}) >= 9
