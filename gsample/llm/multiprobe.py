@@ -8,7 +8,9 @@ with the query by exact distance; the best of all tables are merged and ranked.
 
 Every vector is indexed.  Interval width and number of probes are fitted on a bounded
 sample of ``FIT`` vectors: probes are added until the sampled queries' neighbours are
-found with the wanted recall.  Large buckets are cut into parts by a count of each bucket.
+found with the wanted recall, and intervals are widened where no probes reach it.  Large
+buckets are cut into parts by a count of each bucket.  Queries that met fewer ids than
+wanted, such as outliers, are compared with all rows in blocks, so theirs are exact.
 
 Defined results: vectors that are null, empty, zero or hold null or non-finite components,
 and rows with a null id, take no part; only vectors of the query's dimension are
@@ -35,6 +37,8 @@ TABLES = 8
 FIT, FIT_QUERIES = 4000, 200
 #: Members of a bucket's part, at most about.
 PART = 20_000
+#: Queries of a block that is compared with all rows, at most about.
+BLOCK = 1000
 
 
 @lru_cache(maxsize=16)
@@ -97,20 +101,50 @@ def fit(sample: np.ndarray, n: int, k: int, recall: float) -> Hashing:
     near = np.argsort(d, 1)[:, : min(k, len(sample) - 1)] if len(sample) > 1 else np.zeros((len(queries), 0), int)
     m = moves(hashes)
     code = {tuple(v): i for i, v in enumerate(m.tolist())}
-    best = np.full(near.shape, len(m))
-    for table in range(model.tables):
-        h, inside = model.cells(sample, table)
-        rank = np.argsort(model.order(inside[: len(queries)]), 1)  # place of each perturbation
-        for q in range(len(queries)):
-            for j, v in enumerate(near[q]):
-                step = code.get(tuple((h[v] - h[q]).tolist()))
-                if step is not None:
-                    best[q, j] = min(best[q, j], rank[q, step])
-    places = np.sort(best.ravel())
-    model.probes = int(min(len(m), places[min(len(places) - 1, int(np.ceil(recall * len(places))))] + 1)) if len(places) else 1
+    while near.size:
+        best = np.full(near.shape, len(m))
+        for table in range(model.tables):
+            h, inside = model.cells(sample, table)
+            rank = np.argsort(model.order(inside[: len(queries)]), 1)  # place of each perturbation
+            for q in range(len(queries)):
+                for j, v in enumerate(near[q]):
+                    step = code.get(tuple((h[v] - h[q]).tolist()))
+                    if step is not None:
+                        best[q, j] = min(best[q, j], rank[q, step])
+        places = np.sort(best.ravel())
+        last = places[min(len(places) - 1, int(np.ceil(recall * len(places))))]
+        if last < len(m):
+            model.probes = int(last + 1)
+            break
+        model.width *= 2  # in the end all are at most one interval apart
     return model
 
 
+def _unfinished(valid: DataFrame, queries: Callable[[Column], Column], merged: DataFrame, k: int, n: int) -> tuple[DataFrame | None, DataFrame | None]:
+    """The queries that met fewer than ``k`` ids though there are more, and all rows, both dealt to blocks; or (None, None).
+
+    A block stands for a slice of the queries and one of the rows, of one dimension.
+    """
+    dim = F.length("vec").cast("long")
+    asked = valid.where(queries(F.col("id")))
+    sizes = valid.select("id", dim.alias("dim")).distinct().groupBy("dim").agg(F.count("*").alias("ids"))
+    want = asked.select("id", dim.alias("dim")).distinct().join(sizes, "dim").groupBy("id").agg(F.least(F.lit(k), F.sum(F.col("ids") - 1)).alias("want"))
+    met = merged.groupBy("query_id").agg(F.count("*").alias("met")).withColumnRenamed("query_id", "id")
+    short = want.join(met, "id", "left").where(F.coalesce("met", F.lit(0)) < F.col("want")).select("id")
+    short = materialize(asked.join(short, "id", "left_semi"), "short")
+    many = short.count()
+    if not many:
+        return None, None
+    down, across = -(-many // BLOCK), -(-n // PART)
+    part = lambda i, j: (i * across + j).cast("int").alias("part")
+    slices = lambda count: F.explode(F.sequence(F.lit(0), F.lit(count - 1)))
+    own = lambda count: F.pmod(F.xxhash64("id"), F.lit(count))
+    left = short.select("id", "vec", own(down).alias("i"), slices(across).alias("j")).select(dim.alias("bucket"), part(F.col("i"), F.col("j")), F.col("id").alias("query"), F.col("vec").alias("query_vec"))
+    rows = valid.join(short.select(dim.alias("dim")).distinct(), dim == F.col("dim"), "left_semi")
+    right = rows.select("id", "vec", slices(down).alias("i"), own(across).alias("j")).select(dim.alias("bucket"), part(F.col("i"), F.col("j")), "id", "vec")
+    return left, right
+
+
 def nearest(df: DataFrame, queries: Callable[[Column], Column], k: int = 10, id: str = "vec_id", vector: str = "embedding", recall: float = 0.99) -> DataFrame:
     """(query_id, rank, id, score): the ``k`` nearest found for each row whose id ``queries`` picks."""
     spark, kind = df.sparkSession, vectors.number_type(df, vector)
@@ -185,7 +219,11 @@ def nearest(df: DataFrame, queries: Callable[[Column], Column], k: int = 10, id:
         return pa.table(dict(zip(("query_id", "id", "score"), columns, strict=True)))
 
     near = left.groupBy("bucket", "part").cogroup(right.groupBy("bucket", "part")).applyInArrow(compare, "query_id bigint, id bigint, score double")
-    merged = near.groupBy("query_id", "id").agg(F.min("score").alias("score"))
+    merged = materialize(near.groupBy("query_id", "id").agg(F.min("score").alias("score")), "near")
+    left, right = _unfinished(valid, queries, merged, k, n)
+    if left is not None:
+        whole = left.groupBy("bucket", "part").cogroup(right.groupBy("bucket", "part")).applyInArrow(compare, "query_id bigint, id bigint, score double")
+        merged = merged.union(whole).groupBy("query_id", "id").agg(F.min("score").alias("score"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy("score", "id")).cast("int")
     type_ = dict(df.dtypes)[id]
     return merged.withColumn("rank", rank).where(F.col("rank") <= k).select(F.col("query_id").cast(type_).alias("query_id"), "rank", F.col("id").cast(type_).alias(id), "score")

@@ -112,3 +112,35 @@ def test_an_id_of_many_vectors_takes_one_place(spark):
     exact = sorted((float(min(((np.array(v) - x[0]) ** 2).sum() for i, v in rows if i == j)), j) for j in {i for i, _ in rows} - {0})
     assert len(got) == 10 and got[0] == 50
     assert len(set(got) & {j for _, j in exact[:10]}) >= 9
+
+
+@pytest.mark.parametrize("part,block", [(20_000, 1000), (64, 2)])
+def test_far_queries_get_all_their_neighbours(spark, monkeypatch, part, block):
+    """An outlier and a far cluster smaller than k, hundreds of spreads from one blob."""
+    monkeypatch.setattr(multiprobe, "PART", part)
+    monkeypatch.setattr(multiprobe, "BLOCK", block)
+    rng = np.random.default_rng(1)
+    x = np.concatenate([rng.normal(size=(600, 16)), np.full((1, 16), 300.0), rng.normal(size=(4, 16)) - 200, [[1, 2] + [0] * 14]])
+    rows = [(k, v.tolist()) for k, v in enumerate(x)] + [(700, [1.0, 2.0]), (701, [2.0, 2.0])]
+    df = spark.createDataFrame(rows + rows[600:603], "vec_id bigint, embedding array<double>")
+    out = nearest(df, lambda c: c >= 600).orderBy("rank").collect()
+    for q in range(600, 605):
+        exact = sorted((np.sqrt(((x[j] - x[q]) ** 2).sum()), j) for j in range(len(x)) if j != q)[:10]
+        assert [(r["score"], r["vec_id"]) for r in out if r["query_id"] == q] == exact
+    assert sum(r["query_id"] == 605 for r in out) == 10
+    assert [(r["query_id"], r["vec_id"]) for r in out if r["query_id"] >= 700] == [(700, 701), (701, 700)]
+
+
+def test_fit_reaches_the_wanted_recall():
+    """Vectors of very unlike lengths: intervals are widened until probes reach the neighbours of enough of them."""
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(400, 8)) * np.where(np.arange(400) % 5 == 0, 10.0 ** rng.uniform(1, 4, 400), 1.0)[:, None]
+    model = multiprobe.fit(x, len(x), 10, 0.99)
+    d = ((x[:200, None] - x) ** 2).sum(2)
+    d[np.arange(200), np.arange(200)] = np.inf
+    near = np.argsort(d, 1)[:, :10]
+    met = np.zeros(near.shape, bool)
+    for table in range(model.tables):
+        names = model.name(model.cells(x, table)[0], table, 8)
+        met |= (model.probe_names(x[:200], table)[:, :, None] == names[near][:, None, :]).any(1)
+    assert met.mean() >= 0.99
