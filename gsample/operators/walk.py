@@ -124,16 +124,25 @@ def _own_step(p: Prepared, walkers: DataFrame, gone: DataFrame, step: int, seed:
     return _land(p, w, moved, step, seed, source)
 
 
+def walkers_for(target: int) -> int:
+    """A thirtieth of the vertices to visit, so that supersteps stay few at any size; as many as the driver holds at most."""
+    return max(1, min(_Holder.LOCAL, ceil(target / 30)))
+
+
 def walk_trace(g: PropertyGraph, target: int, seed: int = 7, walkers: int = 1, jump: float = 0.1, edge_memory: str = "shared", stop: str = "reach", on_meet: str = "keep", max_supersteps: int = 10_000, source: str = "portable", prepared: Prepared | None = None, adjacency: str = "ranked") -> DataFrame:
     """(walker, step, at, kind): where every walker was after each superstep, from the start (step 0) to the stop.
 
     The walk stops at the first superstep after which ``target`` vertices were visited
     ('reach') or more than that ('exceed').  ``on_meet='merge'`` lets one of several walkers
     on a vertex go on.  ``adjacency='scan'`` looks at all out-edges instead of the ranked one;
-    the walk is the same.
+    the walk is the same.  A walk that cannot or does not get there within ``max_supersteps``
+    raises an error.
     """
     p = prepared or prepare(g, seed, source)
     target = min(target, p.size - (stop == "exceed"))
+    missed = RuntimeError(f"fewer than {target + (stop == 'exceed')} vertices in {max_supersteps} supersteps of {walkers} walkers")
+    if walkers * (max_supersteps + 1) < target + (stop == "exceed"):
+        raise missed
     draw = [unit_random(seed, "start", "id", source=source), F.col("id")]
     first = p.index.orderBy(*draw).limit(walkers)
     none = F.lit(None).cast("long")
@@ -149,7 +158,7 @@ def walk_trace(g: PropertyGraph, target: int, seed: int = 7, walkers: int = 1, j
                 return hold.trace().select("walker", "step", "at", "kind")
             sure = step + max(1, -(-(target - n + (stop == "exceed")) // max(walkers, 1)))
         if step >= max_supersteps:
-            return hold.trace().select("walker", "step", "at", "kind")
+            raise missed
         step += 1
         moves = (_scan_step if scan else _shared_step if shared else _own_step)(p, now, gone, step, seed, jump, source)
         if on_meet == "merge":
@@ -202,11 +211,11 @@ class _Holder:
         return whole
 
 
-def random_walk(g: PropertyGraph, s: float | None = None, seed: int = 7, walkers: int = 1, jump: float = 0.1, target: int | None = None, edge_memory: str = "shared", stop: str = "reach", on_meet: str = "keep", max_supersteps: int = 10_000, source: str = "portable", keep_isolated: bool = False) -> PropertyGraph:
-    """The visited vertices and all edges between them; ``s`` or ``target`` says how many to visit."""
+def random_walk(g: PropertyGraph, s: float | None = None, seed: int = 7, walkers: int | None = None, jump: float = 0.1, target: int | None = None, edge_memory: str = "shared", stop: str = "reach", on_meet: str = "keep", max_supersteps: int = 10_000, source: str = "portable", keep_isolated: bool = False) -> PropertyGraph:
+    """The visited vertices and all edges between them; ``s`` or ``target`` says how many to visit, and, by ``walkers_for``, the walkers if none are given."""
     p = prepare(g, seed, source)
     wanted = target if target is not None else ceil(s * p.size)
-    trace = walk_trace(g, wanted, seed, walkers, jump, edge_memory, stop, on_meet, max_supersteps, source, p)
+    trace = walk_trace(g, wanted, seed, walkers_for(min(wanted, p.size)) if walkers is None else walkers, jump, edge_memory, stop, on_meet, max_supersteps, source, p)
     sample = induce(g, trace.select(F.col("at").alias("id")).distinct())
     return sample if keep_isolated else drop_isolated(sample)
 

@@ -104,7 +104,7 @@ on_graph("plain_edge_sample", "commerce", lambda g: edges_of(S.plain_edge_sample
 
 # walks --------------------------------------------------------------------------------
 
-on_graph("rw_multi", "sessions", lambda g: edges_of(W.random_walk(g, SHARE, SEED, walkers=50)), None)
+on_graph("rw_multi", "sessions", lambda g: edges_of(W.random_walk(g, SHARE, SEED)), None)
 _CHANCE, _TO = (unit_random_sql(SEED, k, "0", "step + 1") for k in ("jump", "to"))
 SINGLE_WALK = (
     f"ix AS (SELECT id, row_number() OVER (ORDER BY {unit_random_sql(SEED, 'index', 'id')}, id) - 1 AS idx FROM v), "
@@ -120,8 +120,8 @@ on_graph("rw_single_trace", "sessions", lambda g: W.walk_trace(g, 12, SEED), "SE
 on_graph("rw_exceed_merge_counters", "similar_items", lambda g: W.walk_counters(W.walk_trace(g, 150, SEED, walkers=30, stop="exceed", on_meet="merge")), None)
 on_graph("rw_scan_trace", "sessions", lambda g: W.walk_trace(g, 60, SEED, walkers=20, adjacency="scan"), None)
 on_graph("rw_ranked_trace", "sessions", lambda g: W.walk_trace(g, 60, SEED, walkers=20), None)
-on_graph("rw_per_walker", "similar_items", lambda g: edges_of(W.random_walk(g, SHARE, SEED, walkers=40, edge_memory="per_walker")), None)
-on_graph("rw_valid", "sessions", lambda g: validate_sample(g, W.random_walk(g, 0.2, SEED, walkers=40)), "SELECT rule, 0::BIGINT AS violations FROM (VALUES ('vertices_of_graph'), ('edges_of_graph'), ('source_in_sample'), ('target_in_sample'), ('no_isolated_vertex')) AS r(rule)")
+on_graph("rw_per_walker", "similar_items", lambda g: edges_of(W.random_walk(g, SHARE, SEED, edge_memory="per_walker")), None)
+on_graph("rw_valid", "sessions", lambda g: validate_sample(g, W.random_walk(g, 0.2, SEED)), "SELECT rule, 0::BIGINT AS violations FROM (VALUES ('vertices_of_graph'), ('edges_of_graph'), ('source_in_sample'), ('target_in_sample'), ('no_isolated_vertex')) AS r(rule)")
 on_graph("frontier", "similar_items", lambda g: edges_of(W.frontier(g, 0.3, SEED)), None)
 on_graph("forest_fire", "similar_items", lambda g: edges_of(W.forest_fire(g, 0.3, SEED)), None)
 
@@ -176,7 +176,7 @@ on_graph("estimate_from_re", "co_purchase", lambda g: C.estimate_from_sample(S.r
 on_graph("calibrated_rvn", "sessions", lambda g: M.graph_metrics(S.random_vertex_neighborhood(g, C.calibrate(g, "RVN", SHARE), SEED), ("vertices", "edges")), None)
 
 
-def metric_table(spark: SparkSession, sf_dir: str, name: str, walkers: int) -> DataFrame:
+def metric_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """Metrics of a graph and of one sample of each method, about 60 % smaller, a column per method."""
     g = graph(spark, sf_dir, name)
     which = ("vertices", "edges", "density", "triangles", "global_clustering", "local_clustering", "wcc", "degree")
@@ -185,7 +185,7 @@ def metric_table(spark: SparkSession, sf_dir: str, name: str, walkers: int) -> D
         "rv": S.random_vertex(g, SHARE, SEED),
         "re": S.random_edge(g, SHARE, SEED),
         "rvn": S.random_vertex_neighborhood(g, C.calibrate(g, "RVN", SHARE), SEED),
-        "rw": W.random_walk(g, SHARE, SEED, walkers=walkers),
+        "rw": W.random_walk(g, SHARE, SEED),
     }
     rows = None
     for method, s in samples.items():
@@ -194,8 +194,8 @@ def metric_table(spark: SparkSession, sf_dir: str, name: str, walkers: int) -> D
     return rows.groupBy("metric").pivot("method", list(samples)).agg(F.first("value"))
 
 
-CASES["metric_table_doc_overlap"] = (lambda spark, d: metric_table(spark, d, "doc_overlap", 40), None)
-CASES["metric_table_doc_overlap_all"] = (lambda spark, d: metric_table(spark, d, "doc_overlap_all", 40), None)
+CASES["metric_table_doc_overlap"] = (lambda spark, d: metric_table(spark, d, "doc_overlap"), None)
+CASES["metric_table_doc_overlap_all"] = (lambda spark, d: metric_table(spark, d, "doc_overlap_all"), None)
 
 
 def layout(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -67,3 +67,16 @@ def test_walks_keep_edges_between_what_they_visit(spark, sf):
     rw, rv = W.random_walk(g, 0.4, 1, walkers=20), S.random_vertex(g, 0.4, 1)
     share = [M.wcc_count(x).first()[0] / x.vertices.count() for x in (rw, rv)]
     assert share[0] <= share[1] + 0.1
+
+
+def test_a_walk_that_misses_its_target_raises(spark):
+    g = small(spark, [(k, (k + 1) % 90) for k in range(90)])
+    with pytest.raises(RuntimeError, match="fewer than 45 vertices in 21 supersteps of 2 walkers"):
+        W.random_walk(g, 0.5, max_supersteps=21)  # as many walkers as a thirtieth of 45
+    two = small(spark, [(1, 2), (2, 1)], vertices=range(3, 40))
+    with pytest.raises(RuntimeError, match="fewer than 9"):
+        W.walk_trace(two, 9, walkers=3, jump=0.0, max_supersteps=2, prepared=W.prepare(two, 7))
+
+
+def test_walkers_grow_with_the_target():
+    assert [W.walkers_for(n) for n in (0, 30, 31, 74_412, 10**9)] == [1, 1, 2, 2481, 100_000]
