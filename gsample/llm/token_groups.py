@@ -192,7 +192,9 @@ def _ask_groups(postings: DataFrame, nodes: DataFrame, tasks: int, percent: int)
         token, node, n, cluster, size, g = _whole(batches, ["token", "node", "n", "cluster", "size", "g"])
         order = np.lexsort((cluster, size, token))
         token, node, n, cluster, g = token[order], node[order], n[order], cluster[order], g[order]
-        starts = np.flatnonzero(np.r_[True, token[1:] != token[:-1]]) if len(token) else np.zeros(0, _I)
+        if not len(token):  # fewer shared tokens than tasks
+            return
+        starts = np.flatnonzero(np.r_[True, token[1:] != token[:-1]])
         ends = np.r_[starts[1:], len(token)]
         asked: list[tuple[np.ndarray, ...]] = []
         held = 0

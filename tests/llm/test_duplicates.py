@@ -98,6 +98,23 @@ def test_components_of_chains_copies_and_passages(many, monkeypatch, setting):
     check(many[1], many[0])
 
 
+@pytest.mark.parametrize(("shared", "partitions"), [(0, 8), (1, 8), (2, 8), (1, 211)])
+def test_components_with_few_shared_tokens(spark, monkeypatch, shared, partitions):
+    rng = random.Random(shared)
+    texts = [sentence(rng, 60) for _ in range(22)]
+    for k in range(shared):  # two unlike documents each with one shingle in common
+        five = sentence(rng, 5)
+        texts[2 * k] += " " + five
+        texts[2 * k + 1] = five + " " + texts[2 * k + 1]
+    rows = list(enumerate(texts))
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", partitions)
+    try:
+        check(spark.createDataFrame(rows, "doc_id bigint, text string"), rows)
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
 def spans_of(df, **more):
     found = defaultdict(list)
     for r in repeated_spans(df, **more).collect():
