@@ -14,9 +14,13 @@ component per document.
 3. Nodes are partitioned into groups of similar ones, at most about ``GROUP`` each: the
    nodes of a large cluster, or those with the same likely partner.  Each group has the
    union of its tokens, first that of its prefixes: a node whose prefix shares fewer than
-   m tokens with the union is like no member.  For the groups left, the union of all
-   tokens bounds the overlap with any member: a group below t n is not opened.  In the
-   others every member's similarity is computed exactly.
+   m tokens with the union is like no member.  The groups left are stored as rows of the
+   token-group matrix: the union of all tokens, and which members hold each.  A node meets
+   the unions alone: one that holds fewer than t n of its tokens is like no member, and
+   that group is not opened.  In the others every member's similarity is computed exactly.
+
+The tokens that the sample calls most frequent are treated as hot: their nodes are spread
+over tasks, and over tiles of bounded chunks where nodes meet groups.
 
 Copies and clusters are never expanded into pairs, and no link between two clusters is
 missed.  Rows with a null id take no part; null texts and texts without words have size 0
@@ -34,6 +38,7 @@ from pyspark.sql import functions as F
 
 from ..operators.components import component_stars
 from ..plans.materialize import materialize
+from ..plans.skew import join_unique
 from . import packed
 from .folds import hash_share
 from .shingles import digest, shingle_set
@@ -48,6 +53,10 @@ FREQUENT = 400_000
 SENT_IDS = 2_000_000
 #: Rows that one task of the token exchange holds, about.
 TASK_ROWS = 1_500_000
+#: Tokens of a group, at most about: groups of very long documents have fewer nodes.
+GROUP_TOKENS = 1_000_000
+#: Most frequent tokens of the sample that are treated as hot, and the nodes of a chunk of one.
+HOT_TOKENS, HOT_ROWS = 2000, 50_000
 
 _I = np.int64
 
@@ -109,9 +118,11 @@ def _prefix(s: np.ndarray, frequent: np.ndarray, counts: np.ndarray, percent: in
     return first
 
 
-def _scan(docs: DataFrame, id: str, text: str, words: int, percent: int) -> DataFrame:
-    """(id, n, node, prefix): the prefix with the first row of a node in each task."""
-    shared = docs.sparkSession.sparkContext.broadcast(_frequent_tokens(docs, id, text, words))
+def _scan(docs: DataFrame, id: str, text: str, words: int, percent: int) -> tuple[DataFrame, list[int]]:
+    """(id, n, node, prefix), the prefix with the first row of a node in each task; and the hot tokens, by the sample."""
+    known = _frequent_tokens(docs, id, text, words)
+    shared = docs.sparkSession.sparkContext.broadcast(known)
+    hot = known[0][np.argsort(-known[1], kind="stable")][:HOT_TOKENS].tolist()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         frequent, counts = shared.value
@@ -132,13 +143,17 @@ def _scan(docs: DataFrame, id: str, text: str, words: int, percent: int) -> Data
                         prefixes.append(_prefix(s, frequent, counts, percent))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64()), pa.array(nodes, pa.int64()), _lists(prefixes)], names=["id", "n", "node", "prefix"])
 
-    return materialize(docs.select(F.col(id).cast("long").alias("id"), text).mapInArrow(run, "id bigint, n bigint, node bigint, prefix array<bigint>"), "sets")
+    return materialize(docs.select(F.col(id).cast("long").alias("id"), text).mapInArrow(run, "id bigint, n bigint, node bigint, prefix array<bigint>"), "sets"), hot
+
 
+def _shared_postings(scan: DataFrame, hot: list[int]) -> DataFrame:
+    """(token, node, n, hub) of prefix tokens that more than one node holds; the hub is their smallest node.
 
-def _shared_postings(scan: DataFrame) -> DataFrame:
-    """(token, node, n, hub) of prefix tokens that more than one node holds; the hub is their smallest node."""
-    rows = scan.where("prefix is not null")
-    total = rows.agg(F.coalesce(F.sum(F.size("prefix")), F.lit(0))).first()[0]
+    The tokens in ``hot`` are reduced by (token, node) and their hubs broadcast, so no task
+    holds all nodes of one.
+    """
+    rows = scan.where("prefix is not null").select(F.explode("prefix").alias("token"), "node", "n")
+    total = scan.agg(F.coalesce(F.sum(F.size("prefix")), F.lit(0))).first()[0]
     tasks = max(int(scan.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // TASK_ROWS))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -156,8 +171,13 @@ def _shared_postings(scan: DataFrame) -> DataFrame:
         hub = np.repeat(node[starts], sizes)
         yield from pa.table({"token": token[keep], "node": node[keep], "n": n[keep], "hub": hub[keep]}).to_batches(100_000)
 
-    postings = rows.select(F.explode("prefix").alias("token"), "node", "n").repartition(tasks, "token")
-    return materialize(postings.mapInArrow(run, "token bigint, node bigint, n bigint, hub bigint"), "postings")
+    cold = rows.where(~F.col("token").isin(hot)) if hot else rows
+    found = cold.repartition(tasks, "token").mapInArrow(run, "token bigint, node bigint, n bigint, hub bigint")
+    if hot:
+        held = rows.where(F.col("token").isin(hot)).distinct()
+        hubs = held.groupBy("token").agg(F.min("node").alias("hub"), F.max("node").alias("last")).where("hub <> last").drop("last")
+        found = found.union(held.join(F.broadcast(hubs), "token").select("token", "node", "n", "hub"))
+    return materialize(found, "postings")
 
 
 def _sets(docs: DataFrame, ids: DataFrame, id: str, text: str, words: int) -> DataFrame:
@@ -185,17 +205,36 @@ def _tally(parts: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, ...]:
     return node[first], g[first], n[first], np.add.reduceat(times, first)
 
 
-def _ask_groups(postings: DataFrame, nodes: DataFrame, tasks: int, percent: int) -> DataFrame:
+def _tiles(postings: DataFrame, hot: list[int]) -> DataFrame:
+    """The postings with the ``tile`` at which they meet others, and their ``side`` of it.
+
+    A token is one tile.  The nodes of a hot token are cut into chunks by group, and each
+    pair of chunks is a tile of its own, on whose sides 0 and 1 they stand (side 2: a tile
+    of one chunk with itself).
+    """
+    whole = F.col("token").alias("tile"), F.lit(2).cast("tinyint").alias("side")
+    if not hot:
+        return postings.select("*", *whole)
+    few = F.col("token").isin(hot)
+    chunks = postings.where(few).groupBy("token").agg(F.ceil(F.count("*") / HOT_ROWS).cast("int").alias("chunks"))  # a row per hot token
+    own = postings.where(few).join(F.broadcast(chunks), "token").withColumn("mine", F.pmod(F.xxhash64("g"), F.col("chunks")).cast("int"))
+    met = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    tile = F.xxhash64("token", F.least("mine", "other"), F.greatest("mine", "other")).alias("tile")
+    side = F.when(F.col("mine") == F.col("other"), 2).otherwise((F.col("mine") > F.col("other")).cast("int")).cast("tinyint").alias("side")
+    return postings.where(~few).select("*", *whole).union(met.select(*postings.columns, tile, side))
+
+
+def _ask_groups(postings: DataFrame, nodes: DataFrame, hot: list[int], tasks: int, percent: int) -> DataFrame:
     """(node, g): groups of other clusters whose prefix tokens hold enough of a node's, asked from the smaller cluster."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        token, node, n, cluster, size, g = _whole(batches, ["token", "node", "n", "cluster", "size", "g"])
-        order = np.lexsort((cluster, size, token))
-        token, node, n, cluster, g = token[order], node[order], n[order], cluster[order], g[order]
-        if not len(token):  # fewer shared tokens than tasks
+        tile, node, n, cluster, size, g, side = _whole(batches, ["tile", "node", "n", "cluster", "size", "g", "side"])
+        order = np.lexsort((cluster, size, tile))
+        tile, node, n, cluster, g, side = tile[order], node[order], n[order], cluster[order], g[order], side[order]
+        if not len(tile):  # fewer shared tokens than tasks
             return
-        starts = np.flatnonzero(np.r_[True, token[1:] != token[:-1]])
-        ends = np.r_[starts[1:], len(token)]
+        starts = np.flatnonzero(np.r_[True, tile[1:] != tile[:-1]])
+        ends = np.r_[starts[1:], len(tile)]
         asked: list[tuple[np.ndarray, ...]] = []
         held = 0
         for a, b in zip(starts, ends, strict=True):
@@ -205,18 +244,19 @@ def _ask_groups(postings: DataFrame, nodes: DataFrame, tasks: int, percent: int)
             for last in change:
                 # nodes begin..last are one cluster; those behind are in larger ones, or in as large ones with larger names
                 by_g = np.lexsort((n[a + last : b], g[a + last : b]))
-                tail_g, tail_n = g[a + last : b][by_g], n[a + last : b][by_g]
+                tail_g, tail_n, tail_side = g[a + last : b][by_g], n[a + last : b][by_g], side[a + last : b][by_g]
                 first = np.flatnonzero(np.r_[True, tail_g[1:] != tail_g[:-1]])
                 low, high = tail_n[first], tail_n[np.r_[first[1:], len(tail_g)] - 1]
                 q = n[a + begin : a + last, None]
-                i, j = np.nonzero((low * percent <= q * 100) & (high * 100 >= q * percent))
+                mine = side[a + begin : a + last, None]
+                i, j = np.nonzero((low * percent <= q * 100) & (high * 100 >= q * percent) & ((mine == 2) | (mine != tail_side[first])))
                 asked.append((node[a + begin : a + last][i], tail_g[first][j], n[a + begin : a + last][i], np.ones(len(i), _I)))
                 held += len(i)
                 begin = last
             if held > 2_000_000:
                 asked = [_tally(asked)]
                 held = len(asked[0][0])
-        if asked:
+        if held:
             found = _tally(asked)
             yield from packed.send(iter([(packed.mix(found[0]), list(found))]), names, tasks)
 
@@ -226,54 +266,91 @@ def _ask_groups(postings: DataFrame, nodes: DataFrame, tasks: int, percent: int)
         return pa.table({"node": node[some], "g": g[some]})
 
     names = ["node", "g", "n", "times"]
-    rows = postings.select("token", "node", "n").join(nodes.select("node", "cluster", "size", "g"), "node").repartition(tasks, "token")
+    joined = postings.select("token", "node", "n").join(nodes.select("node", "cluster", "size", "g"), "node")
+    joined = materialize(joined, "joined") if hot else joined
+    rows = _tiles(joined, hot).select("tile", "node", "n", "cluster", "size", "g", "side").repartition(tasks, "tile")
     return packed.each_bucket(rows.mapInArrow(run, packed.schema(names)), enough, "node bigint, g bigint")
 
 
+def _token_matrix(nodes: DataFrame, sets: DataFrame) -> DataFrame:
+    """The token-group matrix, a row per group: (g, tokens, starts, owners, sizes, clusters).
+
+    ``tokens`` is the sorted union of the members' tokens; members ``owners[starts[k]:starts[k + 1]]``
+    hold token k; ``sizes`` and ``clusters`` are the members'.
+    """
+
+    def build(group: pa.Table) -> pa.Table:
+        group = group.combine_chunks()
+        lists = group.column("tokens").chunk(0)
+        owner = np.repeat(np.arange(group.num_rows, dtype=np.int32), np.diff(lists.offsets.to_numpy()))
+        flat = lists.flatten().to_numpy()
+        order = np.argsort(flat, kind="stable")
+        union, starts = np.unique(flat[order], return_index=True)
+        one = lambda v, kind: pa.array([v], pa.list_(kind))
+        return pa.table({"g": group.column("g").slice(0, 1), "tokens": one(union, pa.int64()), "starts": one(np.r_[starts, len(flat)].astype(np.int32), pa.int32()), "owners": one(owner[order], pa.int32()), "sizes": one(group.column("n").to_numpy(), pa.int64()), "clusters": one(group.column("cluster").to_numpy(), pa.int64())})
+
+    members = nodes.select("node", "cluster", "g").join(sets, "node").select("g", "cluster", "n", "tokens")
+    shape = "g bigint, tokens array<bigint>, starts array<int>, owners array<int>, sizes array<bigint>, clusters array<bigint>"
+    return materialize(members.groupBy("g").applyInArrow(build, shape), "matrix")
+
+
 def _open_groups(asked: DataFrame, nodes: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """(src, dst): cluster pairs between which a similar pair of nodes was found."""
-    parts = asked.groupBy("g").agg(F.ceil(F.count("*") / 512).cast("int").alias("parts"))
-    queries = asked.join(parts, "g").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
-    queries = queries.join(nodes.select("node", "cluster"), "node").join(sets, "node").select("g", "part", "node", "cluster", "n", "tokens")
-    members = nodes.select("node", "cluster", "g").join(parts, "g").join(sets, "node").select("g", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), "node", "cluster", "n", "tokens")
-    members = members.select(*(F.col(c).alias(c) for c in members.columns))  # names of its own, beside the queries'
-
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        found: set[tuple[int, int]] = set()
+    """(src, dst): cluster pairs between which a similar pair of nodes was found.
+
+    First the queries meet the groups' unions alone; only groups that the bound leaves to a
+    query are opened, that is, their members read.
+    """
+    parts = materialize(asked.groupBy("g").agg(F.ceil(F.count("*") / 512).cast("int").alias("parts")), "parts")
+    matrix = _token_matrix(nodes.join(parts.select("g"), "g", "left_semi"), sets)
+    queries = join_unique(asked, parts, "g").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
+    queries = queries.join(nodes.select("node", "cluster"), "node").join(sets, "node").select("g", "part", "cluster", "n", "tokens")
+
+    def dealt(columns: list[str], wanted: DataFrame) -> DataFrame:
+        rows = matrix.select("g", *columns).join(wanted, "g")
+        rows = rows.select("g", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), *columns)
+        return rows.select(*(F.col(c).alias(c) for c in rows.columns))  # names of its own, beside the queries'
+
+    def bound(left: pa.Table, right: pa.Table) -> pa.Table:
+        kept, hits = [], []
         if left.num_rows and right.num_rows:
-            left, right = left.combine_chunks(), right.combine_chunks()
-            tokens = right.column("tokens").chunk(0)
-            owner = np.repeat(np.arange(right.num_rows), np.diff(tokens.offsets.to_numpy()))
-            flat = tokens.flatten().to_numpy()
-            order = np.argsort(flat, kind="stable")
-            flat, owner = flat[order], owner[order]
-            n, cluster = right.column("n").to_numpy(), right.column("cluster").to_numpy()
-            mine = left.column("tokens").chunk(0)
+            left = left.combine_chunks()
+            union, mine = right.column("tokens").chunk(0)[0].values.to_numpy(), left.column("tokens").chunk(0)
             for k in range(left.num_rows):
                 q = mine[k].values.to_numpy()
-                lo, hi = np.searchsorted(flat, q, "left"), np.searchsorted(flat, q, "right")
-                if np.count_nonzero(hi > lo) < least_overlap(len(q), percent):
-                    continue  # the union of the group's tokens rules out every member
-                many = hi - lo
-                at = np.repeat(lo - np.r_[0, np.cumsum(many)[:-1]], many) + np.arange(many.sum())
-                both = np.bincount(owner[at], minlength=len(n))
-                own = left.column("cluster")[k].as_py()
-                for c in set(cluster[both * 100 >= (n + len(q) - both) * percent].tolist()):
-                    if c != own:
-                        found.add((own, c))
+                at = np.minimum(np.searchsorted(union, q), len(union) - 1)
+                at = at[union[at] == q]
+                if len(at) >= least_overlap(len(q), percent):
+                    kept.append(k)
+                    hits.append(at.astype(np.int32))
+        left = left.select(["g", "part", "cluster", "n"]).take(pa.array(kept, pa.int64()))
+        return left.append_column("hits", pa.array(hits, pa.list_(pa.int32())))
+
+    def compare(left: pa.Table, right: pa.Table) -> pa.Table:
+        found: set[tuple[int, int]] = set()
+        if left.num_rows and right.num_rows:
+            starts, owners, sizes, clusters = (right.column(c).chunk(0)[0].values.to_numpy() for c in ("starts", "owners", "sizes", "clusters"))
+            for own, n, hits in zip(left.column("cluster").to_pylist(), left.column("n").to_pylist(), left.column("hits").combine_chunks(), strict=True):
+                h = hits.values.to_numpy()
+                many = starts[h + 1] - starts[h]
+                at = np.repeat(starts[h] - np.r_[0, np.cumsum(many)[:-1]], many) + np.arange(many.sum())
+                both = np.bincount(owners[at], minlength=len(sizes))
+                found.update((own, c) for c in set(clusters[both * 100 >= (sizes + n - both) * percent].tolist()) if c != own)
         return pa.table({"src": pa.array([a for a, _ in found], pa.int64()), "dst": pa.array([b for _, b in found], pa.int64())})
 
-    return queries.groupBy("g", "part").cogroup(members.groupBy("g", "part")).applyInArrow(run, "src bigint, dst bigint")
+    meet = lambda a, b, f, shape: a.groupBy("g", "part").cogroup(b.groupBy("g", "part")).applyInArrow(f, shape)
+    left = materialize(meet(queries, dealt(["tokens"], parts), bound, "g bigint, part int, cluster bigint, n bigint, hits array<int>"), "bounded")
+    opened = parts.join(left.select("g").distinct(), "g", "left_semi")
+    return meet(left, dealt(["starts", "owners", "sizes", "clusters"], opened), compare, "src bigint, dst bigint")
 
 
 def similar_components(docs: DataFrame, id: str = "doc_id", text: str = "text", words: int = 5, percent: int = 80) -> DataFrame:
     """(id, n_shingles, component_id) for every row."""
-    scan = _scan(docs, id, text, words, percent)
-    postings = _shared_postings(scan)
+    scan, hot = _scan(docs, id, text, words, percent)
+    postings = _shared_postings(scan, hot)
     tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     tasks = max(tasks, -(-postings.count() // TASK_ROWS))
     known = materialize(postings.groupBy("node").agg(F.first("n").alias("n")), "nodes")
-    first = scan.where("node is not null").groupBy("node").agg(F.min("id").alias("id"))
+    first = materialize(scan.where("node is not null").groupBy("node").agg(F.min("id").alias("id")), "first")
     # one likely partner each, verified
     enough = F.floor(F.floor(F.col("n") * percent / 100) / 20) + 1
     best = materialize(postings.where("node <> hub").groupBy("node", "hub", "n").count().groupBy("node", "n").agg(F.max_by("hub", F.struct("count", "hub")).alias("hub"), F.max("count").alias("count")), "best")
@@ -281,22 +358,24 @@ def similar_components(docs: DataFrame, id: str = "doc_id", text: str = "text",
     wanted = likely.select("node").union(likely.select("hub")).distinct()
     sets = _sets(docs, wanted.join(first, "node").select("id").distinct(), id, text, words)
     a, b = sets.select("node", F.col("n").alias("n_a"), F.col("tokens").alias("a")), sets.select(F.col("node").alias("hub"), F.col("n").alias("n_b"), F.col("tokens").alias("b"))
-    tested = likely.join(a, "node").join(b, "hub").withColumn("both", F.size(F.array_intersect("a", "b")))
+    tested = join_unique(likely, b, "hub").join(a, "node").withColumn("both", F.size(F.array_intersect("a", "b")))
     links = tested.where(f"both * 100 >= (n_a + n_b - both) * {percent}").select(F.col("node").alias("src"), F.col("hub").alias("dst"))
     stars = component_stars(links)
     nodes = known.join(stars.withColumnRenamed("id", "node").withColumnRenamed("component", "cluster"), "node", "left").withColumn("cluster", F.coalesce("cluster", "node"))
-    sizes = nodes.groupBy("cluster").agg(F.count("*").alias("size"))
-    nodes = nodes.join(sizes, "cluster").join(best.select("node", "hub"), "node", "left")
-    nodes = nodes.withColumn("base", F.when(F.col("size") > GROUP, F.col("cluster")).otherwise(F.coalesce("hub", "node")))
-    bases = nodes.groupBy("base").agg(F.ceil(F.count("*") / GROUP).alias("chunks"))
+    nodes = materialize(nodes, "clusters")
+    nodes = join_unique(nodes, nodes.groupBy("cluster").agg(F.count("*").alias("size")), "cluster").join(best.select("node", "hub"), "node", "left")
+    nodes = materialize(nodes.withColumn("base", F.when(F.col("size") > GROUP, F.col("cluster")).otherwise(F.coalesce("hub", "node"))), "bases")
+    bases = nodes.groupBy("base").agg(F.greatest(F.ceil(F.count("*") / GROUP), F.ceil(F.sum("n") / GROUP_TOKENS)).alias("chunks"))
     g = F.xxhash64("base", F.pmod(F.xxhash64("node"), F.col("chunks")))
-    nodes = materialize(nodes.join(bases, "base").select("node", "n", "cluster", "size", g.alias("g")), "groups")
-    asked = materialize(_ask_groups(postings, nodes, tasks, percent), "asked")
+    nodes = materialize(join_unique(nodes, bases, "base").select("node", "n", "cluster", "size", g.alias("g")), "groups")
+    asked = materialize(_ask_groups(postings, nodes, hot, tasks, percent), "asked")
     opened = nodes.join(asked.select("g").distinct(), "g", "left_semi").select("node").union(asked.select("node")).distinct()
     more = _sets(docs, opened.join(first, "node").select("id").distinct(), id, text, words)
     bridges = component_stars(_open_groups(asked, nodes, more, percent))
-    final = nodes.join(bridges.withColumnRenamed("id", "cluster"), "cluster", "left").select("node", F.coalesce("component", "cluster").alias("key"))
-    rows = scan.select("id", "n", "node").join(final, "node", "left").withColumn("key", F.coalesce("key", "node"))
-    least = rows.where("key is not null").groupBy("key").agg(F.min("id").alias("least"))
+    final = join_unique(nodes, bridges.withColumnRenamed("id", "cluster"), "cluster").select("node", F.coalesce("component", "cluster").alias("key"))
+    # the smallest id of a component by its nodes, then of every row by its node
+    keyed = materialize(first.join(final, "node", "left").withColumn("key", F.coalesce("key", "node")), "keyed")
+    least = join_unique(keyed, keyed.groupBy("key").agg(F.min("id").alias("least")), "key").select("node", "least")
+    rows = join_unique(scan.select("id", "n", "node"), least, "node")
     kind = dict(docs.dtypes)[id]
-    return rows.join(least, "key", "left").select(F.col("id").cast(kind).alias(id), F.col("n").alias("n_shingles"), F.coalesce("least", "id").cast(kind).alias("component_id"))
+    return rows.select(F.col("id").cast(kind).alias(id), F.col("n").alias("n_shingles"), F.coalesce("least", "id").cast(kind).alias("component_id"))
