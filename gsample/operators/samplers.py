@@ -10,10 +10,11 @@ edges.  Vertices without an edge are removed from every sample unless ``keep_iso
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.randomness import unit_random
+from ..plans.ranking import smallest
 from .model import PropertyGraph, drop_isolated, edges_between, endpoints, induce
 
 
@@ -68,20 +69,9 @@ def random_vertex_neighborhood(g: PropertyGraph, s: float, seed: int = 7, direct
     return PropertyGraph(g.vertices.join(ends, "id", "left_semi"), e)
 
 
-def _exact(df: DataFrame, id: str, stream: str, k: int, seed: int, source: str, bins: int = 1 << 16) -> DataFrame:
-    """The ``k`` rows with the smallest numbers, without a global sort.
-
-    One pass counts rows by bin of the number; only the bin that holds the k-th is sorted.
-    """
-    u = unit_random(seed, stream, id, source=source)
-    binned = df.withColumns({"__u": u, "__bin": F.floor(u * bins)})
-    counts = binned.groupBy("__bin").count().withColumn("upto", F.sum("count").over(Window.orderBy("__bin")))  # at most ``bins`` rows
-    edge = counts.where(F.col("upto") >= k).agg(F.min("__bin").alias("b")).join(counts.where(F.col("upto") < k).agg(F.coalesce(F.max("upto"), F.lit(0)).alias("below")))
-    cut = edge.first()
-    if cut["b"] is None:
-        return df
-    border = binned.where(F.col("__bin") == cut["b"]).orderBy("__u", id).limit(k - cut["below"])
-    return binned.where(F.col("__bin") < cut["b"]).unionByName(border).select(df.columns)
+def _exact(df: DataFrame, id: str, stream: str, k: int, seed: int, source: str) -> DataFrame:
+    """The ``k`` rows with the smallest numbers."""
+    return smallest(df, unit_random(seed, stream, id, source=source), id, k)
 
 
 def random_vertex_exact(g: PropertyGraph, k: int, seed: int = 7, source: str = "portable", keep_isolated: bool = False) -> PropertyGraph:

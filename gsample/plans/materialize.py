@@ -20,17 +20,19 @@ def shared_dir(spark: SparkSession) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     app = spark.sparkContext.applicationId
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         if app not in _own_dir:
             _own_dir[app] = tempfile.mkdtemp(prefix="gsample-")
         base = _own_dir[app]
     return f"{base.rstrip('/')}/gsample-{app}"
 
 
-def materialize(df: DataFrame, tag: str = "cut") -> DataFrame:
-    """Writes ``df`` as Parquet in the shared folder and returns the table read back."""
+def materialize(df: DataFrame, tag: str = "cut", by: list[str] | None = None) -> DataFrame:
+    """Writes ``df`` as Parquet in the shared folder, a folder for each value of ``by``, and returns the table read back."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex[:12]}"
-    df.write.parquet(path)
+    (df.write.partitionBy(*by) if by else df.write).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -11,6 +11,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+#: Bins of a pass that narrows down where a row number lies, and rows that one task may sort.
+BINS, SORTED = 4096, 1_000_000
+
 from .materialize import materialize
 
 
@@ -34,3 +37,31 @@ def rank_within(df: DataFrame, classes: list[str], order: list[str], out: str, b
     joined = local.alias("l").join(offsets.alias("o"), on, "inner")
     keep = [F.col(f"l.{c}") for c in df.columns]
     return joined.select(*keep, (F.col("l.__local") + F.col("o.__before")).cast("long").alias(out))
+
+
+def smallest(df: DataFrame, key: Column, ties: str, k: int, low: float = 0.0, high: float = 1.0) -> DataFrame:
+    """The ``k`` rows with the smallest ``key``, a number in [``low``, ``high``], then ``ties``, without sorting the table.
+
+    Each pass counts the rows of the interval that holds the k-th by bins of it, until so few
+    are left there that one task can sort them; passes grow with the logarithm of the rows.
+    """
+    if k <= 0:
+        return df.limit(0)
+    keyed, before = df.withColumn("__key", key), 0
+    floor, ceiling = low, high
+    while True:
+        width = (ceiling - floor) / BINS
+        inside = keyed.where((F.col("__key") >= floor) & (F.col("__key") <= ceiling))
+        bin_ = F.least(F.floor((F.col("__key") - F.lit(floor)) / F.lit(width)), F.lit(BINS - 1)) if width > 0 else F.lit(0)
+        counts = sorted((r["b"], r["n"], r["lo"], r["hi"]) for r in inside.groupBy(bin_.alias("b")).agg(F.count("*").alias("n"), F.min("__key").alias("lo"), F.max("__key").alias("hi")).collect())
+        for _, n, lo, hi in counts:
+            if before + n >= k:
+                break
+            before += n
+        else:
+            return df  # no more than k rows
+        floor, ceiling = lo, hi  # the least and greatest keys of that bin
+        if n <= SORTED or lo == hi:
+            break
+    last = keyed.where((F.col("__key") >= floor) & (F.col("__key") <= ceiling)).orderBy("__key", ties).limit(k - before)
+    return keyed.where(F.col("__key") < floor).unionByName(last).drop("__key")

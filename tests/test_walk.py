@@ -79,4 +79,61 @@ def test_a_walk_that_misses_its_target_raises(spark):
 
 
 def test_walkers_grow_with_the_target():
-    assert [W.walkers_for(n) for n in (0, 30, 31, 74_412, 10**9)] == [1, 1, 2, 2481, 100_000]
+    assert [W.walkers_for(n) for n in (0, 30, 31, 74_412, 10**9)] == [1, 1, 2, 2481, 33_333_334]
+
+
+@pytest.mark.parametrize("more", [{}, {"on_meet": "merge"}, {"stop": "exceed"}])
+def test_driven_and_joined_walks_are_the_same(spark, sf, more):
+    g = GRAPHS["page_links"](spark, sf)
+    p = W.prepare(g, 5)
+    a, b = (W.walk_trace(g, 40, 5, walkers=12, prepared=p, driven=k, **more) for k in (True, False))
+    assert a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty() and not a.isEmpty()
+
+
+def test_a_superstep_reads_the_parts_of_its_walkers_only(spark, sf, monkeypatch):
+    monkeypatch.setattr(W, "PART_VERTICES", 50)
+    g = GRAPHS["commerce"](spark, sf)
+    p = W.prepare(g, 7)
+    assert p.parts > 20
+    src = [r["src"] for r in p.ranked.where("rank = 1").limit(2).collect()]
+    found = W.departures(p, [(s, 1) for s in src])
+    assert {r["src"] for r in found.collect()} == set(src)
+    plan = found._jdf.queryExecution().explainString(spark._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted"))
+    assert "PartitionFilters" in plan and "In(src" in plan
+    files = {f.split("part=")[1].split("/")[0] for f in found.inputFiles()}
+    scanned = spark.sparkContext._jvm.scala.jdk.javaapi.CollectionConverters.asJava(found._jdf.queryExecution().executedPlan().collectLeaves())
+    assert files and len(scanned) == 1
+    read = p.ranked.where(p.ranked["part"].isin([(s + 1 // W.SPAN) % p.parts for s in src])).count()
+    assert read * 5 < p.ranked.count()
+
+
+def test_smallest_rows_equal_a_sort(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from gsample.plans import ranking
+
+    monkeypatch.setattr(ranking, "SORTED", 3)
+    monkeypatch.setattr(ranking, "BINS", 4)
+    rows = [(k, ((k * 37) % 50) / 50.0) for k in range(200)]
+    df = spark.createDataFrame(rows, "id bigint, u double")
+    for k in (0, 1, 17, 100, 200, 300):
+        got = sorted((r["u"], r["id"]) for r in ranking.smallest(df, F.col("u"), "id", k).collect())
+        assert got == sorted((u, i) for i, u in rows)[:k]
+
+
+def test_walks_per_walker_on_a_given_table_equal_plain_python(spark, sf):
+    """Own edge marks: no walker passes an edge twice, every step is along an edge of the graph or a jump."""
+    g = GRAPHS["page_links"](spark, sf)
+    trace = W.walk_trace(g, 60, 2, walkers=10, edge_memory="per_walker")
+    edges = {}
+    for r in g.edges.select("src", "dst").collect():
+        edges[r["src"], r["dst"]] = edges.get((r["src"], r["dst"]), 0) + 1
+    at, used = {}, {}
+    for r in sorted(trace.collect(), key=lambda r: (r["walker"], r["step"])):
+        w = r["walker"]
+        if r["kind"] == "walk":
+            key = (w, at[w], r["at"])
+            used[key] = used.get(key, 0) + 1
+            assert used[key] <= edges[at[w], r["at"]]
+        at[w] = r["at"]
+    assert used
