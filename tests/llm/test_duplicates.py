@@ -129,13 +129,43 @@ def test_passages_of_odd_texts(odd, no_docs, least):
     assert repeated_spans(no_docs).isEmpty()
 
 
-@pytest.mark.parametrize("sent", [4_000_000, 0])
-def test_passages_with_and_without_broadcast(many, monkeypatch, sent):
+@pytest.mark.parametrize(("sent", "chunk"), [(4_000_000, 60_000), (0, 60_000), (4_000_000, 3), (4_000_000, 25)])
+def test_passages_with_and_without_broadcast_and_by_chunks(many, monkeypatch, sent, chunk):
     monkeypatch.setattr(sparse_suffixes, "SENT_SEEDS", sent)
     monkeypatch.setattr(sparse_suffixes, "SENT_SPANS", sent)
+    monkeypatch.setattr(sparse_suffixes, "CHUNK", chunk)
     assert spans_of(many[1], min_words=30) == passages(many[0], 30)
 
 
+@pytest.mark.parametrize(("open_start", "open_end"), [(False, False), (True, False), (False, True)])
+def test_neighbours_of_sorted_suffixes(open_start, open_end):
+    """Every repeated passage of a chunk is either found in it or handed on, under one name for all holders."""
+    import numpy as np
+    import pyarrow as pa
+
+    rng = np.random.default_rng(3)
+    passage = rng.integers(1, 9, 40).astype(np.uint64)
+    docs = {d: np.r_[rng.integers(1, 9, 10 + d), passage[: 20 + 5 * (d % 4)], rng.integers(1, 9, 12)].astype(np.uint64) for d in range(12)}
+    rows = []
+    for d, w in docs.items():
+        for at, _, first, last in zip(*(a.tolist() for a in sparse_suffixes.retained(w, 16)), strict=True):
+            rows.append((w[at : last + 16].astype(">u8").tobytes(), w[first:at][::-1].astype(">u8").tobytes(), d, at))
+    rows.sort()
+    table = pa.table([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.binary(), pa.binary(), pa.int64(), pa.int32()), strict=True)], names=["right", "left", "doc", "at"])
+    closed, handed = sparse_suffixes.repeated_in(table, 16, open_start, open_end)
+    found = {(d, k) for d, a, z in zip(*(c.tolist() for c in closed[:3]), strict=True) for k in range(a, z + 1)}
+    least = {}
+    for name, d, _ in zip(*(c.tolist() for c in handed), strict=True):
+        least[name] = min(d, least.get(name, d))
+    found |= {(d, k) for name, d, k in zip(*(c.tolist() for c in handed), strict=True) if least[name] < d}
+    first, want = {}, set()
+    for d, w in docs.items():
+        for k in range(len(w) - 15):
+            if first.setdefault(w[k : k + 16].tobytes(), d) != d:
+                want.add((d, k))
+    assert found == want and bool(handed) == (open_start or open_end)
+
+
 def test_cutting_keeps_columns_and_first_copies(odd):
     spans = repeated_spans(odd)
     out = remove_spans(odd, spans)
