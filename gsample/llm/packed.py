@@ -32,6 +32,13 @@ def schema(names: list[str]) -> str:
     return "bucket int, " + ", ".join(f"{n} binary" for n in names)
 
 
+def cells(data: np.ndarray, starts: np.ndarray) -> pa.Array:
+    """A binary column: one cell of numbers from each start to the next."""
+    data = np.ascontiguousarray(data)
+    ends = (np.r_[starts, len(data)] * data.itemsize).astype(np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(starts), [None, pa.py_buffer(ends), pa.py_buffer(data.tobytes())])
+
+
 def _deal(columns: list[np.ndarray], bucket: np.ndarray, names: list[str]) -> pa.RecordBatch:
     order = np.argsort(bucket, kind="stable")
     bucket = bucket[order]

@@ -163,10 +163,11 @@ def _shared(words: np.ndarray, many: np.ndarray) -> np.ndarray:
 
 
 def repeated_in(chunk: pa.Table, min_words: int, open_start: bool, open_end: bool) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    """([doc, start, stop, source], [name, doc, start]) of sorted suffixes.
+    """([doc, start, stop, source], [name, least, first, doc, start]) of sorted suffixes.
 
     The first are passages, by the range of their starts, that an earlier document of the
-    chunk holds too; the second those whose stretch reaches an open end of the chunk.
+    chunk holds too.  The second are passages whose stretch reaches an open end of the
+    chunk: each once, with its first document here and, from ``first`` on, its holders.
     """
     depth = min_words - SEED + 1
     right, many_right = _words(chunk.column("right"), min_words)
@@ -178,6 +179,7 @@ def repeated_in(chunk: pa.Table, min_words: int, open_start: bool, open_end: boo
     class_left = np.empty(len(doc), _I)
     closed: list[tuple] = []
     unsettled: list[tuple] = []
+    handed = 0
     for before in range(depth):
         rows = np.flatnonzero((many_left >= before) & (many_right >= min_words - before))
         if not len(rows):
@@ -189,17 +191,20 @@ def repeated_in(chunk: pa.Table, min_words: int, open_start: bool, open_end: boo
             reaches |= class_right == class_right[0]
         if open_end:
             reaches |= class_right == class_right[-1]
+        key = class_right * (len(doc) + 1) + class_left
         some = rows[reaches[rows]]
         if len(some):
-            whole = np.concatenate([left[some, :before][:, ::-1], right[some, : min_words - before]], axis=1)
-            unsettled.append((_names(whole), doc[some], at[some] - before))
+            some = some[np.argsort(key[some], kind="stable")]
+            first = np.flatnonzero(np.r_[True, key[some][1:] != key[some][:-1]])
+            one = some[first]
+            whole = np.concatenate([left[one, :before][:, ::-1], right[one, : min_words - before]], axis=1)
+            unsettled.append((_names(whole), np.minimum.reduceat(doc[some], first), first + handed, doc[some], at[some] - before))
+            handed += len(some)
         rows = rows[~reaches[rows]]
         if not len(rows):
             continue
-        key = class_right[rows] * (len(doc) + 1) + class_left[rows]
-        order = np.argsort(key, kind="stable")
-        rows, key = rows[order], key[order]
-        first = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        rows = rows[np.argsort(key[rows], kind="stable")]
+        first = np.flatnonzero(np.r_[True, key[rows][1:] != key[rows][:-1]])
         source = np.repeat(np.minimum.reduceat(doc[rows], first), np.diff(np.r_[first, len(rows)]))
         later = doc[rows] != source
         closed.append((doc[rows][later], at[rows][later] - before, source[later]))
@@ -266,11 +271,12 @@ def repeated_spans(docs: DataFrame, min_words: int = 50, id: str = "doc_id", tex
             closed, unsettled = repeated_in(rows.combine_chunks(), min_words, start, end)
             if closed:
                 for b in packed.send(iter([(packed.mix(closed[0]), closed)]), _MATCH, buckets):
-                    yield pa.RecordBatch.from_arrays([*b.columns, pa.nulls(b.num_rows, pa.binary())], names=[*b.schema.names, "name"])
+                    none = pa.nulls(b.num_rows, pa.int64())
+                    yield pa.RecordBatch.from_arrays([*b.columns, none, none], names=[*b.schema.names, "name", "least"])
             if unsettled:
-                name, doc, start_ = (pa.array([c.tobytes()], pa.binary()) for c in unsettled)
-                none = pa.nulls(1, pa.binary())
-                yield pa.RecordBatch.from_arrays([pa.array([-1], pa.int32()), doc, start_, none, none, name], names=["bucket", *_MATCH, "name"])
+                name, least, first, doc, start_ = unsettled
+                none = pa.nulls(len(name), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(name), -1, np.int32)), packed.cells(doc, first), packed.cells(start_, first), none, none, pa.array(name), pa.array(least)], names=["bucket", *_MATCH, "name", "least"])
 
         for b in batches:
             held.append(b)
@@ -285,16 +291,15 @@ def repeated_spans(docs: DataFrame, min_words: int = 50, id: str = "doc_id", tex
         if n:
             yield from settle(pa.Table.from_batches(held), open_start, True)
 
-    def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            columns = [packed.read(b.column(b.schema.get_field_index(c)), _I) for c in ("name", "doc", "start")]
-            yield from pa.table(dict(zip(("name", "doc", "start"), columns, strict=True))).to_batches(100_000)
-
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def parts():
             for b in batches:
-                doc, start, source = (b.column(b.schema.get_field_index(c)).to_numpy() for c in ("doc", "start", "least"))
-                yield packed.mix(doc), [doc, start, start, source]
+                column = lambda c, b=b: b.column(b.schema.get_field_index(c))
+                doc, start = packed.read(column("doc"), _I), packed.read(column("start"), _I)
+                source = np.repeat(column("source").to_numpy(), pa.compute.binary_length(column("doc")).to_numpy() // 8)
+                found = _ranges([(doc[doc > source], start[doc > source], source[doc > source])])
+                if found:
+                    yield packed.mix(found[0]), found
 
         return packed.send(parts(), _MATCH, buckets)
 
@@ -314,10 +319,11 @@ def repeated_spans(docs: DataFrame, min_words: int = 50, id: str = "doc_id", tex
     kept = materialize(source.mapInArrow(suffixes, _SUFFIX), "suffixes")
     tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), packed.plan_size(kept) // (64 << 20))
     ordered = kept.repartitionByRange(tasks, *sorted_by).sortWithinPartitions(*sorted_by)
-    matches = materialize(ordered.mapInArrow(compare, packed.schema([*_MATCH, "name"])), "matches")
-    crossing = materialize(matches.where("bucket < 0").select("name", "doc", "start").mapInArrow(unpack, "name bigint, doc bigint, start bigint"), "crossing")
-    settled = join_unique(crossing, crossing.groupBy("name").agg(F.min("doc").alias("least")), "name").where("doc > least")
-    spans = matches.where("bucket >= 0").drop("name").union(settled.select("doc", "start", "least").mapInArrow(pack, packed.schema(_MATCH)))
+    matches = materialize(ordered.mapInArrow(compare, packed.schema(_MATCH) + ", name bigint, least bigint"), "matches")
+    # a row for each chunk that a passage reaches over, whatever the number of its holders
+    crossing = matches.where("bucket < 0").select("name", "least", "doc", "start")
+    settled = join_unique(crossing, crossing.groupBy("name").agg(F.min("least").alias("source")), "name").where("least > source OR octet_length(doc) > 8")
+    spans = matches.where("bucket >= 0").drop("name", "least").union(settled.select("doc", "start", "source").mapInArrow(pack, packed.schema(_MATCH)))
     spans = packed.each_bucket(spans, join, "id bigint, start_word bigint, n_words bigint, source_id bigint")
     kind = dict(docs.dtypes)[id]
     return spans.select(F.col("id").cast(kind).alias(id), "start_word", "n_words", F.col("source_id").cast(kind).alias("source_id"))

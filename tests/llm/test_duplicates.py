@@ -154,10 +154,12 @@ def test_neighbours_of_sorted_suffixes(open_start, open_end):
     table = pa.table([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.binary(), pa.binary(), pa.int64(), pa.int32()), strict=True)], names=["right", "left", "doc", "at"])
     closed, handed = sparse_suffixes.repeated_in(table, 16, open_start, open_end)
     found = {(d, k) for d, a, z in zip(*(c.tolist() for c in closed[:3]), strict=True) for k in range(a, z + 1)}
-    least = {}
-    for name, d, _ in zip(*(c.tolist() for c in handed), strict=True):
-        least[name] = min(d, least.get(name, d))
-    found |= {(d, k) for name, d, k in zip(*(c.tolist() for c in handed), strict=True) if least[name] < d}
+    if handed:
+        names, least, begin, holder, start = (c.tolist() for c in handed)
+        assert len(set(names)) == len(names)
+        for low, a, z in zip(least, begin, [*begin[1:], len(holder)], strict=True):
+            assert low == min(holder[a:z])
+            found |= {(d, k) for d, k in zip(holder[a:z], start[a:z], strict=True) if low < d}
     first, want = {}, set()
     for d, w in docs.items():
         for k in range(len(w) - 15):
