@@ -135,12 +135,58 @@ def test_fit_reaches_the_wanted_recall():
     """Vectors of very unlike lengths: intervals are widened until probes reach the neighbours of enough of them."""
     rng = np.random.default_rng(2)
     x = rng.normal(size=(400, 8)) * np.where(np.arange(400) % 5 == 0, 10.0 ** rng.uniform(1, 4, 400), 1.0)[:, None]
-    model = multiprobe.fit(x, len(x), 10, 0.99)
-    d = ((x[:200, None] - x) ** 2).sum(2)
-    d[np.arange(200), np.arange(200)] = np.inf
+    d = ((x[:100, None] - x) ** 2).sum(2)
+    d[np.arange(100), np.arange(100)] = np.inf
     near = np.argsort(d, 1)[:, :10]
+    model = multiprobe.fit(x, len(x), list(x[:100]), [x[k] for k in near], 0.99)
     met = np.zeros(near.shape, bool)
     for table in range(model.tables):
         names = model.name(model.cells(x, table)[0], table, 8)
-        met |= (model.probe_names(x[:200], table)[:, :, None] == names[near][:, None, :]).any(1)
+        row, probes = model.probes(x[:100], table)
+        assert len(set(zip(row.tolist(), probes.tolist(), strict=True))) == len(row)
+        for q in range(100):
+            met[q] |= np.isin(names[near[q]], probes[row == q])
     assert met.mean() >= 0.99
+
+
+def test_buckets_are_visited_in_the_order_of_success():
+    x = np.random.default_rng(5).normal(size=(40, 12))
+    model = multiprobe.Hashing(6.0, 6, 0.4)
+    h, inside = model.cells(x, 2)
+    row, names = model.probes(x, 2)
+    for q in range(40):
+        cost = {}
+        for step in np.ndindex(*(3,) * 6):
+            move = np.array(step) - 1
+            price = np.where(move == 0, 0, np.where(move < 0, inside[q] ** 2, (1 - inside[q]) ** 2)).sum()
+            cost[int(model.name((h[q] + move)[None], 2, 12)[0])] = price
+        mine = [cost[n] for n in names[row == q].tolist()]
+        assert mine == sorted(mine) and mine[0] == 0
+        assert len(mine) == sum(c <= 0.4 for c in cost.values())
+
+
+def test_groups_of_vectors_are_searched_in_part(spark):
+    """Where vectors lie in groups, recall is kept and few of them are compared."""
+    rng = np.random.default_rng(9)
+    x = (rng.normal(size=(60, 24)) * 2)[rng.integers(0, 60, 6000)] + rng.normal(size=(6000, 24)) * 0.3
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id bigint, embedding array<double>")
+    models = []
+    keep = multiprobe.fit
+    try:
+        multiprobe.fit = lambda *a: models.append(keep(*a)) or models[-1]
+        out = nearest(df, lambda c: c % 100 == 0).collect()
+    finally:
+        multiprobe.fit = keep
+    hits = 0
+    for q in range(0, 6000, 100):
+        d = ((x - x[q]) ** 2).sum(1)
+        d[q] = np.inf
+        hits += len(set(np.argsort(d)[:10].tolist()) & {r["vec_id"] for r in out if r["query_id"] == q})
+    assert hits >= 0.9 * 600
+    m, met = models[0], np.zeros((60, 6000), bool)
+    for t in range(m.tables):
+        names = m.name(m.cells(x, t)[0], t, 24)
+        row, probes = m.probes(x[::100], t)
+        for q in range(60):
+            met[q] |= np.isin(names, probes[row == q])
+    assert met.mean() < 0.1
