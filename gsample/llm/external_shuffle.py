@@ -4,7 +4,7 @@ Pass one scatters records uniformly into buckets that fit in memory, by a seeded
 the record.  Pass two shuffles each bucket with a seeded Fisher-Yates permutation.  The
 buckets laid end to end are one random order of all records; it is cut into shards whose
 row counts differ by at most one.  Bucket sizes come from one small table of
-(hash slot, rows, bytes), whose length is the parameter ``SLOTS``.
+(hash slot, rows, bytes) of at most ``MOST_SLOTS`` rows.
 
 Defined results: a null text has size 1 and the checksum of no bytes; records equal in id
 and text share a bucket and keep separate slots; null ids are records like any others;
@@ -18,8 +18,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Hash slots of pass one: the finest possible bucket. At 100 TB use 2**20.
-SLOTS = 1 << 16
+from .packed import plan_size
+
+#: Hash slots of pass one, the finest possible buckets: at least, and at most (one row each at the driver).
+SLOTS, MOST_SLOTS = 1 << 16, 1 << 22
 
 
 def record_size(text: str) -> Column:
@@ -27,9 +29,13 @@ def record_size(text: str) -> Column:
     return F.coalesce(F.octet_length(F.col(text)), F.lit(0)).cast("long") + 1
 
 
-def external_shuffle(docs: DataFrame, shards: int, seed: int = 0, bucket_bytes: int = 16 << 20, id: str = "doc_id", text: str = "text", slots: int = SLOTS) -> DataFrame:
-    """All columns of ``docs`` with ``shard`` and ``slot``, the record's place in its shard."""
-    spark = docs.sparkSession
+def external_shuffle(docs: DataFrame, shards: int, seed: int = 0, bucket_bytes: int = 16 << 20, id: str = "doc_id", text: str = "text", slots: int | None = None) -> DataFrame:
+    """All columns of ``docs`` with ``shard`` and ``slot``, the record's place in its shard.
+
+    ``slots``: by default four or more for each bucket that the input's size asks for.
+    """
+    if slots is None:
+        slots = min(MOST_SLOTS, max(SLOTS, 1 << (4 * plan_size(docs) // bucket_bytes).bit_length()))
     slot = F.pmod(F.xxhash64(F.lit(seed), F.col(id), F.col(text)), F.lit(slots))
     sizes = docs.groupBy(slot.alias("s")).agg(F.count("*").alias("n"), F.sum(record_size(text)).alias("b")).collect()
     buckets = max(1, -(-sum(r["b"] for r in sizes) // bucket_bytes))
@@ -48,7 +54,7 @@ def external_shuffle(docs: DataFrame, shards: int, seed: int = 0, bucket_bytes:
         b = group.column(bucket)[0].as_py()
         ids, texts = group.column(id), group.column(text)
         lengths = pa.compute.fill_null(pa.compute.binary_length(texts), -1)
-        group = group.take(pa.compute.sort_indices(pa.table({"i": ids, "n": lengths}), sort_keys=[("i", "ascending"), ("n", "ascending")]))
+        group = group.take(pa.compute.sort_indices(pa.table({"i": ids, "n": lengths, "t": texts}), sort_keys=[("i", "ascending"), ("n", "ascending"), ("t", "ascending")]))
         order = np.random.Generator(np.random.Philox(key=[seed, b])).permutation(group.num_rows)
         group = group.take(pa.array(order))
         return group.append_column(place, pa.array(np.arange(group.num_rows) + starts[b], pa.int64()))
