@@ -24,7 +24,7 @@ over tasks, and over tiles of bounded chunks where nodes meet groups.
 
 Copies and clusters are never expanded into pairs, and no link between two clusters is
 missed.  Rows with a null id take no part; null texts and texts without words have size 0
-and stand alone; a repeated id joins all its texts; other columns are not read.
+and stand alone; rows that repeat an id are judged each by its text; other columns are not read.
 """
 
 from __future__ import annotations

@@ -1,10 +1,14 @@
 from collections import Counter
 
+import numpy as np
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
 import corpus_pipeline
 from gsample.llm.external_shuffle import external_shuffle, record_size, write_shards
-from gsample.llm.queries import QUERIES
+from gsample.llm.queries import QUERIES, TOKENIZER
+from gsample.llm.sparse_suffixes import cut
+from tests.llm.test_duplicates import components, passages
 
 
 def test_shards_are_even_gapless_and_whole(odd, no_docs):
@@ -49,11 +53,44 @@ def test_stages_keep_columns_and_decisions_take_effect(spark, sf):
 
 
 def test_stages_on_odd_and_empty_tables(spark, sf, odd, no_docs):
+    """Stages 3 to 5 against brute force; stages 1 and 2 keep whole rows."""
     odd = odd.withColumn("n_chars", F.length("text").cast("bigint"))
-    for docs in (odd, no_docs):
-        for name, stage in corpus_pipeline.STAGES:
-            out = corpus_pipeline.materialize(stage(spark, docs, sf), name)
-            assert out.count() >= 0 and (name == "packing" or out.columns == docs.columns)
+    for name, stage in corpus_pipeline.STAGES:
+        assert stage(spark, no_docs, sf).isEmpty(), name
+    for name, stage in corpus_pipeline.STAGES[:2]:
+        out = corpus_pipeline.materialize(stage(spark, odd, sf), name)
+        assert out.columns == odd.columns and out.exceptAll(odd).isEmpty()
+    stages = dict(corpus_pipeline.STAGES)
+    rows = [(r["doc_id"], r["text"]) for r in odd.collect()]
+    near = corpus_pipeline.materialize(stages["near_duplicates"](spark, odd, sf), "near")
+    leaders = {i for i, c in components({x for x in rows if x[0] is not None}).items() if i == c}
+    assert near.columns == odd.columns
+    kept = [(r["doc_id"], r["text"]) for r in near.collect()]
+    assert Counter(kept) == Counter({x for x in rows if x[0] in leaders}) + Counter(x for x in rows if x[0] is None)
+    cut_ = corpus_pipeline.materialize(stages["repeated_passages"](spark, near, sf), "cut")
+    spans = passages({x for x in kept if x[0] is not None}, 50)
+    want = Counter((i, cut(t, spans[i]) if i in spans else t) for i, t in kept)
+    assert Counter((r["doc_id"], r["text"]) for r in cut_.collect()) == Counter({x: n for x, n in want.items() if x[1] is None or x[1].strip() or x[0] not in spans})
+    pieces = stages["packing"](spark, cut_, sf).collect()
+    library = Tokenizer.from_file(TOKENIZER)
+    found = {}
+    for p in sorted(pieces, key=lambda p: p["start"]):
+        found.setdefault(p["doc_id"], []).extend(np.frombuffer(p["ids"], "<u4").tolist())
+    for r in cut_.where("doc_id IS NOT NULL").collect():
+        assert found[r["doc_id"]] == [*library.encode(r["text"] or "", add_special_tokens=False).ids, 1]
+    fill = Counter()
+    for p in pieces:
+        fill[p["sequence_id"]] += p["length"]
+    assert max(fill.values()) <= 2048
+
+
+def test_rows_that_repeat_an_id(spark, sf):
+    base = " ".join(f"w{k}" for k in range(40))
+    other = " ".join(f"v{k}" for k in range(40))
+    rows = [(1, base), (1, base), (2, base), (3, other), (3, base + " x"), (4, other)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    out = corpus_pipeline.near_duplicates(spark, docs, sf)
+    assert sorted((r["doc_id"], r["text"]) for r in out.collect()) == [(1, base), (3, other), (3, base + " x")]
 
 
 def test_queries_give_the_contracts_columns(spark, sf):
