@@ -112,6 +112,31 @@ def run_to_table(stream: DataFrame, path: str, checkpoint: str) -> DataFrame:
     return stream.sparkSession.read.schema(stream.schema).parquet(path)
 
 
+def run_complete(stream: DataFrame, path: str, checkpoint: str) -> DataFrame:
+    """Runs an aggregating stream over what is there into a table that each batch writes anew, with the groups that are still open."""
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(path)
+
+    q = stream.writeStream.foreachBatch(write).option("checkpointLocation", checkpoint).outputMode("complete").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(path)
+
+
+def run_update(stream: DataFrame, keys: list[str], path: str, checkpoint: str) -> DataFrame:
+    """Runs an aggregating stream over what is there; each batch writes the groups that it changed, and the last state of each is read."""
+    from pyspark.sql import Window
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    q = stream.writeStream.foreachBatch(write).option("checkpointLocation", checkpoint).outputMode("update").trigger(availableNow=True).start()
+    q.awaitTermination()
+    rows = stream.sparkSession.read.parquet(path)
+    last = F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc("batch")))
+    return rows.withColumn("__last", last).where("__last = 1").select(stream.columns)
+
+
 def run_to_memory(stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
     """Runs a stream over what is there into a table in the driver's memory: for results of bounded size."""
     q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()

@@ -20,7 +20,7 @@ from .operators import samplers as S
 from .operators import walk as W
 from .operators.model import PropertyGraph, common_neighbors, endpoints, k_hop, merge_parallel, neighbors, simple_undirected, validate_sample
 from .plans.dataflow import transform_filter, transform_join, transform_map, transform_reduce
-from .plans.materialize import shared_dir
+from .plans.materialize import materialize, shared_dir
 from .plans.ship import ship
 from .sources import files as X
 from .sources.graphs import GRAPH_SQL, GRAPHS, table
@@ -164,7 +164,9 @@ for _k, _ends in (("in", "SELECT dst AS id FROM e"), ("out", "SELECT src AS id F
     on_graph(f"degrees_{_k}", "commerce", lambda g, k=_k: M.degrees(g, k), f"SELECT v.id, coalesce(n, 0)::BIGINT AS degree FROM v LEFT JOIN (SELECT id, count(*) AS n FROM ({_ends}) GROUP BY id) USING (id)")
 on_graph("degrees_total", "commerce", M.degrees, "SELECT id, degree FROM d", DEG)
 on_graph("degree_distribution", "commerce", lambda g: rounded(M.degree_distribution(g)), "SELECT degree, count(*) AS vertices, round(sum(count(*)) OVER (ORDER BY degree) / (SELECT count(*) FROM d), 12) AS share_upto FROM d GROUP BY degree", DEG)
-on_graph("ks_distance_rv", "commerce", lambda g: rounded(M.ks_distance(g, S.random_vertex(g, SHARE, SEED)), 9), None)
+_SHARES = "SELECT degree, sum(count(*)) OVER (ORDER BY degree) / sum(count(*)) OVER () AS {0} FROM {1} GROUP BY degree"
+_SAMPLE_DEGREES = f"s AS ({SAMPLES['rv_hash'][1]}), ds AS (SELECT id, count(*) AS degree FROM (SELECT src AS id FROM s UNION ALL SELECT dst FROM s) GROUP BY id)"
+on_graph("ks_distance_rv", "commerce", lambda g: rounded(M.ks_distance(g, S.random_vertex(g, SHARE, SEED)), 9), f"SELECT round(max(abs(coalesce(a, 0) - coalesce(b, 0))), 9) AS ks FROM (SELECT last_value(a IGNORE NULLS) OVER (ORDER BY degree) AS a, last_value(b IGNORE NULLS) OVER (ORDER BY degree) AS b FROM ({_SHARES.format('a', 'd')}) FULL JOIN ({_SHARES.format('b', 'ds')}) USING (degree))", DEG, _SAMPLE_DEGREES)
 on_graph("label_pair_counts", "commerce", M.label_pair_counts, None)
 
 # comparisons --------------------------------------------------------------------------
@@ -172,30 +174,35 @@ on_graph("label_pair_counts", "commerce", M.label_pair_counts, None)
 on_graph("reduction_rv", "commerce", lambda g: rounded(C.reduction(g, S.random_vertex(g, SHARE, SEED)), 9), f"SELECT round(1 - (SELECT count(*) FROM ({ENDS})) / (SELECT count(*) FROM v), 9) AS vertices_cut, round(1 - (SELECT count(*) FROM s) / (SELECT count(*) FROM e), 9) AS edges_cut", f"s AS ({SAMPLES['rv_hash'][1]})")
 on_graph("compare_metrics_rv", "similar_items", lambda g: C.compare_metrics(g, C.repeat_sampler(lambda k: S.random_vertex(g, SHARE, k)), ("vertices", "edges", "triangles", "global_clustering")), None)
 on_graph("expected_sizes", "similar_items", lambda g: rounded(C.expected_sizes(g, SHARE), 6), f"SELECT 'RV' AS method, round({SHARE} * (SELECT count(*) FROM v), 6) AS vertices, round({SHARE} * {SHARE} * (SELECT count(*) FROM e), 6) AS edges UNION ALL SELECT 'RE', round((SELECT sum(1 - pow(1 - {SHARE}, degree)) FROM d WHERE degree > 0), 6), round({SHARE} * (SELECT count(*) FROM e), 6) UNION ALL SELECT 'RVN', round((SELECT sum(1 - pow(1 - {SHARE}, k + 1)) FROM k), 6), round((1 - pow(1 - {SHARE}, 2)) * (SELECT count(*) FROM e), 6)", SIMPLE, ARMS, DEG)
-on_graph("estimate_from_re", "co_purchase", lambda g: C.estimate_from_sample(S.random_edge(g, SHARE, SEED), "RE", SHARE), None)
+on_graph("estimate_from_re", "co_purchase", lambda g: rounded(C.estimate_from_sample(S.random_edge(g, SHARE, SEED), "RE", SHARE), 6), f"SELECT round((SELECT count(*) FROM s) / {SHARE}, 6) AS edges, round((SELECT count(*) FROM t) / {SHARE**3}, 6) AS triangles", f"s AS (SELECT * FROM e WHERE {U_E} <= {SHARE})", SIMPLE.replace("FROM e", "FROM s"), TRI)
 on_graph("calibrated_rvn", "sessions", lambda g: M.graph_metrics(S.random_vertex_neighborhood(g, C.calibrate(g, "RVN", SHARE), SEED), ("vertices", "edges")), None)
 
 
-def metric_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """Metrics of a graph and of one sample of each method, about 60 % smaller, a column per method."""
+def metric_table(spark: SparkSession, sf_dir: str, name: str, seeds: tuple[int, ...] = (SEED,)) -> DataFrame:
+    """Metrics of a graph and, the mean over ``seeds``, of samples of each method about 60 % smaller; a column per method.
+
+    Graph and samples are written once, as every metric reads them.
+    """
     g = graph(spark, sf_dir, name)
-    which = ("vertices", "edges", "density", "triangles", "global_clustering", "local_clustering", "wcc", "degree")
-    samples = {
-        "original": g,
-        "rv": S.random_vertex(g, SHARE, SEED),
-        "re": S.random_edge(g, SHARE, SEED),
-        "rvn": S.random_vertex_neighborhood(g, C.calibrate(g, "RVN", SHARE), SEED),
-        "rw": W.random_walk(g, SHARE, SEED),
+    g = PropertyGraph(materialize(g.vertices.select("id"), "graph"), materialize(edges_of(g), "graph"))
+    s = C.calibrate(g, "RVN", SHARE)
+    methods: dict[str, Callable[[int], PropertyGraph]] = {
+        "rv": lambda k: S.random_vertex(g, SHARE, k),
+        "re": lambda k: S.random_edge(g, SHARE, k),
+        "rvn": lambda k: S.random_vertex_neighborhood(g, s, k),
+        "rw": lambda k: W.random_walk(g, SHARE, k),
     }
-    rows = None
-    for method, s in samples.items():
-        part = C.long_metrics(s, which).withColumn("method", F.lit(method))
-        rows = part if rows is None else rows.union(part)
-    return rows.groupBy("metric").pivot("method", list(samples)).agg(F.first("value"))
+    rows = C.long_metrics(g).withColumn("method", F.lit("original"))
+    for method, sampler in methods.items():
+        for k in seeds:
+            drawn = sampler(k)
+            drawn = PropertyGraph(materialize(drawn.vertices, "sample"), materialize(drawn.edges, "sample"))
+            rows = rows.union(C.long_metrics(drawn).withColumn("method", F.lit(method)))
+    return rows.groupBy("metric").pivot("method", ["original", *methods]).agg(F.avg("value"))
 
 
-CASES["metric_table_doc_overlap"] = (lambda spark, d: metric_table(spark, d, "doc_overlap"), None)
-CASES["metric_table_doc_overlap_all"] = (lambda spark, d: metric_table(spark, d, "doc_overlap_all"), None)
+for _g in ("doc_overlap", "doc_overlap_all", "similar_items", "page_links"):
+    CASES[f"metric_table_{_g}"] = (lambda spark, d, g=_g: metric_table(spark, d, g), None)
 
 
 def layout(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -280,7 +287,7 @@ on_graph("degree_quantiles", "commerce", lambda g: M.degrees(g).agg(F.expr("perc
 on_graph("degree_log_bins", "commerce", lambda g: M.degrees(g).where("degree > 0").groupBy(F.floor(F.log2("degree")).alias("bin")).agg(F.count("*").alias("vertices")), "SELECT floor(log2(degree))::BIGINT AS bin, count(*) AS vertices FROM d WHERE degree > 0 GROUP BY 1", DEG)
 on_graph("ranked_out_edges", "sessions", lambda g: W.ranked_out_edges(g.edges, SEED).select("edge_id", "rank"), f"SELECT edge_id, row_number() OVER (PARTITION BY src ORDER BY {unit_random_sql(SEED, 'edge', 'edge_id')}, edge_id)::INTEGER AS rank FROM e")
 on_graph("ranked_out_edges_hubs", "trade", lambda g: W.ranked_out_edges(g.edges, SEED, hub=50).select("edge_id", "rank"), f"SELECT edge_id, row_number() OVER (PARTITION BY src ORDER BY {unit_random_sql(SEED, 'edge', 'edge_id')}, edge_id)::INTEGER AS rank FROM e")
-on_graph("union_of_samples", "commerce", lambda g: S.random_vertex(g, 0.2, 1).vertices.select("id").union(S.random_vertex(g, 0.2, 2).vertices.select("id")).distinct(), None)
+on_graph("union_of_samples", "commerce", lambda g: S.random_vertex(g, 0.2, 1).vertices.select("id").union(S.random_vertex(g, 0.2, 2).vertices.select("id")).distinct(), " UNION ".join(f"SELECT {end} AS id FROM e WHERE {unit_random_sql(k, 'v', 'src')} <= 0.2 AND {unit_random_sql(k, 'v', 'dst')} <= 0.2" for k in (1, 2) for end in ("src", "dst")))
 on_graph("edges_in_both_samples", "commerce", lambda g: edges_of(S.random_edge(g, SHARE, 1)).intersect(edges_of(S.random_edge(g, SHARE, 2))), f"SELECT edge_id, src, dst FROM e WHERE {unit_random_sql(1, 'e', 'edge_id')} <= {SHARE} AND {unit_random_sql(2, 'e', 'edge_id')} <= {SHARE}")
 on_graph("edges_in_one_sample_only", "commerce", lambda g: edges_of(S.random_edge(g, SHARE, 1)).exceptAll(edges_of(S.random_edge(g, SHARE, 2))), f"SELECT edge_id, src, dst FROM e WHERE {unit_random_sql(1, 'e', 'edge_id')} <= {SHARE} AND {unit_random_sql(2, 'e', 'edge_id')} > {SHARE}")
 on_graph("edges_by_label", "commerce", lambda g: g.edges.groupBy("label").agg(F.count("*").alias("edges"), F.countDistinct("src").alias("sources"), F.countDistinct("dst").alias("targets")), "SELECT CASE (src % 8) * 8 + dst % 8 WHEN 3 THEN 'placed' WHEN 26 THEN 'holds' WHEN 17 THEN 'from' WHEN 4 THEN 'lives_in' WHEN 12 THEN 'sits_in' ELSE 'part_of' END AS label, count(*) AS edges, count(DISTINCT src) AS sources, count(DISTINCT dst) AS targets FROM e GROUP BY 1")
@@ -372,12 +379,15 @@ def sql_reservoir(spark: SparkSession, sf_dir: str) -> DataFrame:
 _E = "e AS (SELECT event_id AS edge_id, user_id * 2 AS src, (CASE event_type WHEN 'view' THEN 0 WHEN 'click' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END) * 2 + 1 AS dst, ts FROM events)"
 
 
-def stream_case(name: str, f: Callable[[DataFrame], DataFrame], sql: str | None, raw: bool = False) -> None:
+def stream_case(name: str, f: Callable[[DataFrame], DataFrame], sql: str | None, raw: bool = False, mode: str = "append") -> None:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         ship(spark)
         events = spark.readStream.schema(T.EVENT_SCHEMA).parquet(f"{sf_dir}/events.parquet*")
         base = f"{shared_dir(spark)}/stream-{name}-{uuid.uuid4().hex[:8]}"
-        return T.run_to_table(f(events if raw else T.event_edges(events)), f"{base}/out", f"{base}/state")
+        found = f(events if raw else T.event_edges(events))
+        if mode == "update":
+            return T.run_update(found, ["start"], f"{base}/out", f"{base}/state")
+        return (T.run_to_table if mode == "append" else T.run_complete)(found, f"{base}/out", f"{base}/state")
 
     CASES[name] = (run, None if sql is None else f"WITH {_E} {sql}")
 
@@ -386,9 +396,12 @@ stream_case("stream_re", lambda e: T.stream_random_edge(e, SHARE).select("edge_i
 stream_case("stream_rv", lambda e: T.stream_random_vertex(e, SHARE).select("edge_id", "src", "dst"), f"SELECT edge_id, src, dst::BIGINT AS dst FROM e WHERE {U_SRC} <= {SHARE} AND {U_DST} <= {SHARE}")
 stream_case("stream_rvn", lambda e: T.stream_neighborhood(e, 0.1).select("edge_id", "src", "dst"), f"SELECT edge_id, src, dst::BIGINT AS dst FROM e WHERE {U_SRC} <= 0.1 OR {U_DST} <= 0.1")
 stream_case("stream_distinct_vertices", lambda e: T.distinct_vertices(T.stream_random_edge(e, SHARE)), f"SELECT DISTINCT unnest([src, dst]) AS id FROM e WHERE {U_E} <= {SHARE}")
-stream_case("stream_tumbling", lambda e: T.windowed_counts(e, "1 day").select("start", "edges"), None)
-stream_case("stream_sliding", lambda e: T.windowed_counts(e, "1 day", "12 hours").select("start", "edges"), None)
-stream_case("stream_sessions", lambda e: T.session_counts(e, "30 minutes"), None)
+# finite tables: whole results, so that windows that no later event closes are there as well
+_DAY = "SELECT date_trunc('day', ts)::TIMESTAMP AS start, count(*) AS edges FROM e GROUP BY 1"
+stream_case("stream_tumbling", lambda e: T.windowed_counts(e, "1 day").select("start", "edges"), _DAY, mode="complete")
+stream_case("stream_tumbling_update", lambda e: T.windowed_counts(e, "1 day").select("start", "edges"), _DAY, mode="update")
+stream_case("stream_sliding", lambda e: T.windowed_counts(e, "1 day", "12 hours").select("start", "edges"), "SELECT start, count(*) AS edges FROM (SELECT time_bucket(INTERVAL 12 HOURS, ts::TIMESTAMP, TIMESTAMP '1970-01-01') AS start FROM e UNION ALL SELECT time_bucket(INTERVAL 12 HOURS, ts::TIMESTAMP, TIMESTAMP '1970-01-01') - INTERVAL 12 HOURS FROM e) GROUP BY start", mode="complete")
+stream_case("stream_sessions", lambda e: T.session_counts(e, "30 minutes"), "SELECT src, min(ts)::TIMESTAMP AS start, (max(ts) + INTERVAL 30 MINUTE)::TIMESTAMP AS \"end\", count(*) AS edges FROM (SELECT src, ts, sum(fresh) OVER (PARTITION BY src ORDER BY ts, edge_id ROWS UNBOUNDED PRECEDING) AS k FROM (SELECT src, ts, edge_id, coalesce(ts - lag(ts) OVER (PARTITION BY src ORDER BY ts, edge_id) > INTERVAL 30 MINUTE, true)::INTEGER AS fresh FROM e)) GROUP BY src, k", mode="complete")
 stream_case("stream_transitions", lambda e: T.transitions(e), "SELECT user_id, edge_id, src_type, dst_type FROM (SELECT user_id, event_id AS edge_id, event_type AS src_type, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS dst_type FROM events) WHERE dst_type IS NOT NULL", raw=True)
 stream_case("stream_view_to_purchase", lambda e: T.view_to_purchase(e), "SELECT p.user_id, v.event_id AS view_id, p.event_id AS purchase_id FROM events v JOIN events p ON v.user_id = p.user_id AND v.event_type = 'view' AND p.event_type = 'purchase' AND p.ts >= v.ts AND p.ts <= v.ts + INTERVAL 2 HOUR", raw=True)
 
