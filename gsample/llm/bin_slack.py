@@ -6,7 +6,8 @@ those lengths alone, so the plan's size depends on the capacity and not on the d
 each window a bitset subset-sum programme finds the multiset of lengths, the longest
 waiting one included, whose sum comes closest to the capacity; the counts are read back
 from the stored bitsets; and the same multiset is used as often as its counts allow.
-Pieces then find their window by their rank among the pieces of their length.
+Pieces then find their window by their rank among the pieces of their length; their ids
+stay out of the ranking and are joined by a number of the piece, once.
 
 Defined results: a null text is the empty text, whose only piece is its end id; null or
 repeated ids and repeated rows are packed one by one; an empty table gives no rows; other
@@ -74,8 +75,11 @@ def plan_windows(counts: dict[int, int], capacity: int) -> list[tuple[int, dict[
     return plan
 
 
-def cut_documents(docs: DataFrame, tokenizer_path: str, ranks_path: str | None, pattern: str | None, capacity: int = 2048, end_id: int = 1, id: str = "doc_id", text: str = "text", ids: bool = True) -> DataFrame:
-    """(id, start, length, ids_crc32, doc_tokens[, ids binary]) of every document's pieces."""
+def cut_documents(docs: DataFrame, tokenizer_path: str, ranks_path: str | None, pattern: str | None, capacity: int = 2048, end_id: int = 1, id: str = "doc_id", text: str = "text", ids: bool = True, short: bool = False) -> DataFrame:
+    """(id, start, length, ids_crc32, doc_tokens[, ids binary]) of every document's pieces.
+
+    ``short`` gives a piece's ids two bytes each where all are below 65,536.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
@@ -87,8 +91,10 @@ def cut_documents(docs: DataFrame, tokenizer_path: str, ranks_path: str | None,
                 for k, t in enumerate(part.column(1).to_pylist()):
                     all_ids = np.concatenate([encoder.ids(t or ""), end])
                     for start in range(0, len(all_ids), capacity):
-                        own = all_ids[start : start + capacity].tobytes()
-                        rows.append((k, start, len(own) // 4, zlib.crc32(own), len(all_ids), own if ids else b""))
+                        piece = all_ids[start : start + capacity]
+                        own = piece.tobytes()
+                        kept = piece.astype("<u2").tobytes() if ids and short and piece.max() < 1 << 16 else own
+                        rows.append((k, start, len(piece), zlib.crc32(own), len(all_ids), kept if ids else b""))
                 columns = list(zip(*rows, strict=True))
                 out = [part.column(0).take(pa.array(columns[0])), *(pa.array(c, pa.int64()) for c in columns[1:5])]
                 names = [id, "start", "length", "ids_crc32", "doc_tokens"]
@@ -131,7 +137,27 @@ def pack_pieces(pieces: DataFrame, capacity: int = 2048, length: str = "length",
     return ranked.mapInArrow(run, f"{kinds}, sequence_id bigint, offset bigint")
 
 
+def _widened(df: DataFrame) -> DataFrame:
+    """``df`` with all ``ids`` as unsigned 32-bit numbers."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import numpy as np
+
+        for b in batches:
+            at, many = b.schema.get_field_index("ids"), b.column(b.schema.get_field_index("length")).to_pylist()
+            cells = [c if len(c) == 4 * n else np.frombuffer(c, "<u2").astype("<u4").tobytes() for c, n in zip(b.column(at).to_pylist(), many, strict=True)]
+            yield b.set_column(at, "ids", pa.array(cells, pa.binary()))
+
+    return df.mapInArrow(run, df.schema)
+
+
 def pack_documents(docs: DataFrame, tokenizer_path: str, ranks_path: str | None = None, pattern: str | None = None, capacity: int = 2048, end_id: int = 1, id: str = "doc_id", text: str = "text", ids: bool = True) -> DataFrame:
     """Documents cut and packed; ``ids=False`` leaves out the ids themselves."""
-    pieces = materialize(cut_documents(docs, tokenizer_path, ranks_path, pattern, capacity, end_id, id, text, ids), "pieces")
-    return pack_pieces(pieces, capacity, order=(id, "start", "ids_crc32"))
+    pieces = cut_documents(docs, tokenizer_path, ranks_path, pattern, capacity, end_id, id, text, ids, short=True)
+    order = (id, "start", "ids_crc32")
+    if not ids:
+        return pack_pieces(materialize(pieces, "pieces"), capacity, order=order)
+    pieces = materialize(pieces.withColumn("__piece", F.monotonically_increasing_id()), "pieces")
+    placed = pack_pieces(pieces.drop("ids"), capacity, order=order)
+    joined = placed.join(pieces.select("__piece", "ids"), "__piece")
+    return _widened(joined.select(*(c for c in pieces.columns if c != "__piece"), "sequence_id", "offset"))

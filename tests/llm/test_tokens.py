@@ -1,5 +1,6 @@
 import hashlib
 import random
+import zlib
 from collections import Counter
 
 import public_tokenizers as P
@@ -136,3 +137,14 @@ def test_batches_of_many_rows_lose_none(spark):
     ids = list(range(3000))
     for out in (encode_documents(docs, RANKS, P.PATTERN), count_tokens(docs, JSON), pack_documents(docs, JSON, RANKS, P.PATTERN)):
         assert sorted(r["doc_id"] for r in out.select("doc_id").collect()) == ids
+
+
+def test_ids_of_more_than_two_bytes(odd, library):
+    docs = odd.where("doc_id is not null").select("doc_id", "text").distinct()
+    want = {r["doc_id"]: [*library.encode(r["text"] or "", add_special_tokens=False).ids, 70_000] for r in docs.collect()}
+    found = {}
+    for r in pack_documents(docs, JSON, RANKS, P.PATTERN, capacity=256, end_id=70_000).orderBy("doc_id", "start").collect():
+        own = list(memoryview(bytes(r["ids"])).cast("I"))
+        assert len(own) == r["length"] and zlib.crc32(bytes(r["ids"])) == r["ids_crc32"]
+        found.setdefault(r["doc_id"], []).extend(own)
+    assert found == want
