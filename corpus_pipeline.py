@@ -25,7 +25,7 @@ from gsample.llm.folds import learns
 from gsample.llm.queries import PATTERN, RANKS, TOKENIZER, table
 from gsample.llm.sparse_suffixes import remove_spans, repeated_spans
 from gsample.llm.token_groups import SENT_IDS, similar_components
-from gsample.plans.materialize import materialize
+from gsample.plans.materialize import distill, materialize
 from gsample.plans.ship import ship
 
 
@@ -41,8 +41,12 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
-    of = similar_components(docs).where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n"), F.min(F.col("component_id") != F.col("doc_id")).alias("copy"))
-    of = materialize(of.where("n > 1 OR copy"), "copies")
+
+    def repeated() -> DataFrame:
+        of = similar_components(docs).where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n"), F.min(F.col("component_id") != F.col("doc_id")).alias("copy"))
+        return of.where("n > 1 OR copy")
+
+    of = distill(spark, repeated, "copies")
     copies, again = of.where("copy").select("doc_id"), of.where("NOT copy").select("doc_id")
     if not again.isEmpty():  # rows of one id are alike as a rule
         rows = docs.join(again, "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id", "text"])
@@ -52,7 +56,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
-    spans = materialize(repeated_spans(docs), "spans")
+    spans = distill(spark, lambda: repeated_spans(docs), "spans")
     return remove_spans(docs, spans).withColumn("n_chars", F.when(F.col("text").isNotNull(), F.length("text")).cast(docs.schema["n_chars"].dataType))
 
 
