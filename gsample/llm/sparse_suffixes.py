@@ -149,8 +149,7 @@ def _words(column: pa.ChunkedArray, width: int) -> tuple[np.ndarray, np.ndarray]
     flat = packed.read(column, ">u8").astype(_U)
     many = pa.compute.binary_length(column).to_numpy().astype(_I) // 8
     out = np.zeros((len(many), width), _U)
-    row = np.repeat(np.arange(len(many)), many)
-    out[row, np.arange(len(flat)) - np.repeat(np.cumsum(many) - many, many)] = flat
+    out[np.arange(width) < many[:, None]] = flat
     return out, many
 
 
