@@ -1,8 +1,12 @@
 import glob
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 
 from gsample import workloads
+from gsample.sources import graphs
 from gsample.sources.graphs import doc_overlap_all, doc_overlap_stars
 
 LINE = "a line of more than forty characters that stands in very many documents"
@@ -43,3 +47,27 @@ def test_sql_of_hot_lines(spark, hot, name):
     cursor = db.execute(workloads.ORACLES[name])
     columns = [d[0] for d in cursor.description]
     assert sorted(tuple(r) for r in workloads.QUERIES[name](spark, hot).select(columns).collect()) == sorted(cursor.fetchall())
+
+
+def test_nearest_items_beyond_any_bound_on_vectors(spark, tmp_path, monkeypatch):
+    """More vectors than one task may hold at once, in blocks that do not divide them; some equal, one without length."""
+    monkeypatch.setattr(graphs, "VECTORS", 3000)
+    rng = np.random.default_rng(5)
+    x = rng.standard_normal((20_500, 6)).astype(np.float32)
+    x[20_000:] = x[:500]
+    x[77] = 0
+    ids = rng.permutation(20_500).astype(np.int64) * 3
+    pq.write_table(pa.table({"vec_id": ids, "embedding": pa.array(list(x))}), str(tmp_path / "embeddings.parquet"))
+    g = graphs.similar_items(spark, str(tmp_path))
+    assert g.vertices.count() == 20_500 and g.edges.count() == 205_000
+    picked = [0, 5, 78, 499, 10_000, 20_100, 20_499]
+    got = {}
+    for r in g.edges.where(g.edges.src.isin([int(ids[k]) for k in picked])).collect():
+        got.setdefault(r["src"], set()).add(r["dst"])
+    y = x.astype(float)
+    for k in picked:
+        with np.errstate(invalid="ignore"):
+            cosine = np.round(y @ y[k] / (np.sqrt((y * y).sum(1)) * np.sqrt((y[k] * y[k]).sum())), 9)
+        cosine[np.isnan(cosine)] = 2.0
+        cosine[k] = -2.0
+        assert got[ids[k]] == set(ids[np.lexsort((ids, -cosine))[:10]].tolist())
