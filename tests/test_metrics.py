@@ -1,12 +1,14 @@
 import itertools
 import math
+import random
 
 import pytest
 
 from gsample.operators import compare as C
 from gsample.operators import metrics as M
 from gsample.operators import samplers as S
-from gsample.operators.model import k_hop
+from gsample.operators import triangles as T
+from gsample.operators.model import PropertyGraph, k_hop
 from gsample.sources.graphs import GRAPHS
 from tests.graph_oracle import measure
 from tests.test_samplers import small
@@ -111,3 +113,40 @@ def test_speedup_and_volume(spark):
     assert {r["workers"]: r["speedup"] for r in C.speedup(t).collect()} == {1: 1.0, 4: 4.0}
     v = spark.createDataFrame([("rv", 10, 1.0), ("rv", 100, 9.0)], "method string, edges int, seconds double")
     assert max(r["time_ratio"] or 0 for r in C.volume_series(v).collect()) == 9.0
+
+
+def brute(pairs):
+    near = {}
+    for a, b in pairs:
+        if a != b:
+            near.setdefault(a, set()).add(b)
+            near.setdefault(b, set()).add(a)
+    through = {v: sum(len(near[a] & near[v]) for a in near[v]) // 2 for v in near}
+    return {v: n for v, n in through.items() if n}
+
+
+@pytest.mark.parametrize("far", [1, 1 << 40])
+def test_triangles_by_blocks_and_twins(spark, monkeypatch, far):
+    """Blocks of few edges, a hub, loops and repeats, ids far apart; cliques that overlap, where twins stand for each other."""
+    monkeypatch.setattr(T, "EDGES", 40)
+    monkeypatch.setattr(T, "LOOKUPS", 16)
+    draw = random.Random(3)
+    loose = [(draw.randrange(60), draw.randrange(60)) for _ in range(700)] + [(30, k) for k in range(90)]
+    cliques = [*itertools.combinations(range(100, 130), 2), *itertools.combinations(range(120, 150), 2), (100, 30), (149, 30)]
+    for pairs, dense in ((loose, 10**9), (loose + cliques, 10**9), (loose + cliques, 0), (cliques, 0), ([], 0)):
+        monkeypatch.setattr(T, "DENSE", dense)
+        pairs = [(a * far, b * far) for a, b in pairs]
+        edges = spark.createDataFrame([(k, a, b) for k, (a, b) in enumerate(pairs)], "edge_id bigint, src bigint, dst bigint")
+        g = PropertyGraph(edges.selectExpr("src AS id").union(edges.select("dst")).distinct(), edges)
+        want = brute(pairs)
+        assert {r["id"]: r["triangles"] for r in M.triangles_per_vertex(g).collect()} == want
+        assert M.triangle_count(g).first()[0] == M.triangle_count(g, "brute").first()[0] == sum(want.values()) // 3
+        if pairs == [(a * far, b * far) for a, b in cliques]:
+            assert M.projection(g)._classes() is not None
+
+
+def test_triangles_of_a_clique_are_not_listed(spark):
+    """One class of twins stands for a clique of 400 with its 10,586,800 triangles."""
+    g = small(spark, list(itertools.combinations(range(400), 2)))
+    assert M.triangle_count(g).first()[0] == math.comb(400, 3)
+    assert M.projection(g)._classes()[1].collect() == [(0, 400)]
