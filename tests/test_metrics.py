@@ -150,3 +150,10 @@ def test_triangles_of_a_clique_are_not_listed(spark):
     g = small(spark, list(itertools.combinations(range(400), 2)))
     assert M.triangle_count(g).first()[0] == math.comb(400, 3)
     assert M.projection(g)._classes()[1].collect() == [(0, 400)]
+
+
+def test_layout_of_more_vertices_than_a_screen_shows(spark):
+    g = small(spark, SHAPES["bridge"], vertices=list(range(100, 20_200)))
+    drawing = C.force_layout(g, rounds=1)
+    assert drawing.count() == 20_108
+    assert drawing.where("id < 8").agg({"size": "sum"}).first()[0] == 26
