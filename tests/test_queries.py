@@ -35,3 +35,13 @@ def test_query_equals_sql(spark, sf, db, name):
     want = plain(cursor.fetchall(), [d[0] for d in cursor.description])
     assert sorted(df.columns) == sorted(d[0] for d in cursor.description)
     assert got == want
+
+
+def test_these_queries_follow_their_given_tables(spark, tmp_path):
+    spark.range(12).selectExpr("id * 5 + 1 AS c_custkey").write.parquet(str(tmp_path / "customer.parquet"))
+    spark.createDataFrame([(3, 1, "x"), (3, 0, "y"), (9, 0, "z")], "conv_id bigint, turn int, role string").write.parquet(str(tmp_path / "conversations.parquet"))
+    ring = {tuple(r) for r in workloads.QUERIES["edge_list_data_source"](spark, str(tmp_path)).collect()}
+    key = lambda v: v % 12 * 5 + 1
+    assert ring == {(2 * v + (d == 7), key(v), key(v + d)) for v in range(12) for d in (1, 7)}
+    walk = {tuple(r) for r in workloads.QUERIES["sql_expand_walk"](spark, str(tmp_path)).collect()}
+    assert walk == {(3, 0, 3000), (3, 1, 3001), (9, 0, 9000)}
