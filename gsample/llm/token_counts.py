@@ -16,6 +16,7 @@ rows and null ids are each answered as they come; other columns are not read.
 from __future__ import annotations
 
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -26,6 +27,35 @@ from pyspark.sql import DataFrame
 GUARD = 3
 
 
+class _Chunk:
+    """An encoded chunk that starts at ``at``; its tokens are looked at one by one, as only those of an overlap matter."""
+
+    def __init__(self, encoded, at: int):
+        self.encoded, self.at, self.size = encoded, at, len(encoded)
+
+    def begin(self, k: int) -> int:
+        return self.at + self.encoded.token_to_chars(k)[0]
+
+    def first(self, k: int) -> bool:
+        """Whether a match of the splitter starts with token ``k``."""
+        return k == 0 or self.encoded.token_to_word(k) != self.encoded.token_to_word(k - 1)
+
+    def before(self, p: int) -> int | None:
+        """Tokens before ``p``, if a match of the splitter starts there."""
+        k = bisect_left(range(self.size), p, key=self.begin)
+        return k if k < self.size and self.begin(k) == p and self.first(k) else None
+
+    def splice(self, left: _Chunk, after: int, last: int) -> tuple[int, int, int] | None:
+        """The first position after ``after``, up to ``last``, where matches of both start, and the tokens before it in both."""
+        for k in range(self.size):
+            p = self.begin(k)
+            if p > last:
+                break
+            if p > after and self.first(k) and (of_left := left.before(p)) is not None:
+                return p, of_left, k
+        return None
+
+
 class ChunkCounter:
     """Counts tokens with a byte-level tokenizer of the tokenizers library."""
 
@@ -54,14 +84,8 @@ class ChunkCounter:
                 out[i] = len(pieces) - 1 + sum(self.long(p) for p in pieces if p)
         return out
 
-    def _starts(self, text: str, at: int, end: int, encoded=None) -> tuple[dict[int, int], int]:
-        """Where the splitter's matches start in text[at:end]: {position: tokens before it}; and all tokens."""
-        e = encoded or self.tokenizer.encode(text[at:end], add_special_tokens=False)
-        starts, before = {}, None
-        for k, (word, (start, _)) in enumerate(zip(e.word_ids, e.offsets, strict=True)):
-            if word != before:
-                starts[at + start], before = k, word
-        return starts, len(e)
+    def _encoded(self, text: str, at: int, end: int) -> _Chunk:
+        return _Chunk(self.tokenizer.encode(text[at:end], add_special_tokens=False), at)
 
     def long(self, text: str) -> int:
         """Tokens of a text without special strings, by chunks."""
@@ -71,27 +95,27 @@ class ChunkCounter:
         spans = [(a, min(n, a + self.chunk + self.overlap)) for a in range(0, n, self.chunk)]
         spans = [s for k, s in enumerate(spans) if k == 0 or spans[k - 1][1] < n]
         encoded = self.tokenizer.encode_batch([text[a:b] for a, b in spans], add_special_tokens=False)
-        found = [self._starts(text, a, b, e) for (a, b), e in zip(spans, encoded, strict=True)]
-        total, entered, (a, end), (left, size) = 0, 0, spans[0], found[0]
+        found = [_Chunk(e, a) for (a, _), e in zip(spans, encoded, strict=True)]
+        total, entered, (a, end), left = 0, 0, spans[0], found[0]
         for k in range(1, len(spans)):
             b, b_end = spans[k]
             if end >= b_end and k + 1 < len(spans):
                 continue  # a widened chunk has swallowed this one
-            right, right_size = found[k]
+            right = found[k]
             while True:
-                splice = next((p for p in right if entered < p <= end - GUARD and p > b and p in left), None)
+                splice = right.splice(left, max(entered, b), end - GUARD)
                 if splice is not None or end == n:
                     break
                 end = min(n, end + 2 * (end - b))
-                left, size = self._starts(text, a, end)
+                left = self._encoded(text, a, end)
                 if end > b_end:
                     b_end = end
-                    right, right_size = self._starts(text, b, b_end)
+                    right = self._encoded(text, b, b_end)
             if splice is None:
                 break  # the widened left chunk reaches the text's end
-            total += left[splice] - left.get(entered, 0)
-            entered, a, end, left, size = splice, b, b_end, right, right_size
-        return total + size - left.get(entered, 0)
+            total += splice[1] - (left.before(entered) or 0)
+            entered, a, end, left = splice[0], b, b_end, right
+        return total + left.size - (left.before(entered) or 0)
 
 
 @lru_cache(maxsize=2)

@@ -8,6 +8,7 @@ import pytest
 import tiktoken
 from tokenizers import Tokenizer
 
+from gsample.llm import token_counts
 from gsample.llm.bin_slack import fill_window, pack_documents, plan_windows
 from gsample.llm.bpe_prefix import EditableEncoding, TextEncoder, encode_documents, load_codec
 from gsample.llm.token_counts import ChunkCounter, count_tokens
@@ -46,6 +47,15 @@ def test_chunks_resynchronise_everywhere(library):
         assert c.counts([t]) == [len(library.encode(t, add_special_tokens=False).ids)]
 
 
+def test_only_tokens_of_overlaps_are_looked_at(library, monkeypatch):
+    looked = []
+    begin = token_counts._Chunk.begin
+    monkeypatch.setattr(token_counts._Chunk, "begin", lambda self, k: looked.append(k) or begin(self, k))
+    text = "Some plain words, 12 of them or so; and on they go. " * 4000
+    tokens = len(library.encode(text, add_special_tokens=False).ids)
+    assert ChunkCounter(JSON).counts([text]) == [tokens] and len(looked) < tokens / 50
+
+
 def test_prefix_encoding_of_odd_texts(odd, no_docs, ranked):
     for r in encode_documents(odd, RANKS, P.PATTERN).join(odd.select("doc_id", "text").distinct(), "doc_id").collect():
         assert list(memoryview(bytes(r["ids"])).cast("I")) == ranked.encode_ordinary(r["text"] or "")
