@@ -15,23 +15,10 @@ _U = np.uint64
 _MIX = [_U(0x9E3779B97F4A7C15), _U(0xC2B2AE3D27D4EB4F), _U(0x165667B19E3779F9), _U(0xD6E8FEB86659FD93), _U(0xA0761D6478BD642F)]
 
 
-class _WordHashes(dict):
-    """Hashes of the words met, forgotten when there are too many."""
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > 200_000:
-            self.clear()
-        h = self[word] = xxhash.xxh3_64_intdigest(word)
-        return h
-
-
-_words = _WordHashes()
-
-
 def word_hashes(text: str | None) -> np.ndarray:
-    """One hash per word, in order."""
+    """One hash per word, in order; hashing a word costs less than remembering it."""
     words = text.encode().lower().split() if text else []
-    return np.fromiter(map(_words.__getitem__, words), _U, len(words))
+    return np.fromiter(map(xxhash.xxh3_64_intdigest, words), _U, len(words))
 
 
 def finish(h: np.ndarray) -> np.ndarray:
@@ -60,7 +47,10 @@ def shingle_set(text: str | None, k: int = 5) -> np.ndarray:
     w = word_hashes(text)
     if not len(w):
         return w
-    return np.unique(runs(w, k)) if len(w) >= k else runs(w, len(w)) + _U(len(w))
+    if len(w) < k:
+        return runs(w, len(w)) + _U(len(w))
+    s = np.sort(runs(w, k))
+    return s[np.r_[True, s[1:] != s[:-1]]]
 
 
 def digest(s: np.ndarray) -> int:

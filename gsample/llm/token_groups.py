@@ -57,6 +57,8 @@ TASK_ROWS = 1_500_000
 GROUP_TOKENS = 1_000_000
 #: Most frequent tokens of the sample that are treated as hot, and the nodes of a chunk of one.
 HOT_TOKENS, HOT_ROWS = 2000, 50_000
+#: Pairs of rows that are looked at at once, and the rows of a tile from which that is done by a table of rows and groups.
+PAIRS, TABLE_ROWS = 2_000_000, 64
 
 _I = np.int64
 
@@ -224,6 +226,40 @@ def _tiles(postings: DataFrame, hot: list[int]) -> DataFrame:
     return postings.where(~few).select("*", *whole).union(met.select(*postings.columns, tile, side))
 
 
+def _asks(tile: np.ndarray, n: np.ndarray, cluster: np.ndarray, g: np.ndarray, side: np.ndarray, percent: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(row, g), each once: rows, which stand by tile and cluster, and the groups of rows of other clusters behind them in the tile that are of a like size and on another side."""
+    starts = np.flatnonzero(np.r_[True, tile[1:] != tile[:-1]])
+    many = np.diff(np.r_[starts, len(tile)])
+    names, of = np.unique(g, return_inverse=True)
+    least, most = least_overlap(n, percent), n * 100 // percent
+    # tiles of few rows: all pairs of rows, of many tiles at once
+    rows = np.flatnonzero(np.repeat(many < TABLE_ROWS, many))
+    behind = np.repeat(starts + many, many)[rows] - rows - 1
+    total = np.r_[0, np.cumsum(behind)]
+    at = 0
+    while at < len(rows):
+        to = max(at + 1, int(np.searchsorted(total, total[at] + PAIRS, "right")) - 1)
+        i = np.repeat(rows[at:to], behind[at:to])
+        j = np.arange(total[at], total[to]) + np.repeat(rows[at:to] + 1 - total[at:to], behind[at:to])
+        some = (cluster[i] != cluster[j]) & (n[j] >= least[i]) & (n[j] <= most[i]) & ((side[i] == 2) | (side[i] != side[j]))
+        pairs = np.unique(i[some] * len(names) + of[j[some]])
+        yield pairs // len(names), names[pairs % len(names)]
+        at = to
+    # tiles of many: a table of some rows and all rows behind them, whose columns stand by group
+    rank = np.cumsum(np.r_[0, cluster[1:] != cluster[:-1]])
+    for a, k in zip(starts[many >= TABLE_ROWS], many[many >= TABLE_ROWS], strict=True):
+        step = max(1, PAIRS // int(k))
+        for at in range(a, a + k, step):
+            some = slice(at, min(at + step, a + k))
+            by = at + np.argsort(of[at : a + k], kind="stable")
+            first = np.flatnonzero(np.r_[True, of[by[1:]] != of[by[:-1]]])
+            like = (rank[by] > rank[some, None]) & (n[by] >= least[some, None]) & (n[by] <= most[some, None])
+            if (side[some] != 2).any():
+                like &= (side[some, None] == 2) | (side[some, None] != side[by])
+            i, j = np.nonzero(np.logical_or.reduceat(like, first, axis=1))
+            yield at + i, g[by[first[j]]]
+
+
 def _ask_groups(postings: DataFrame, nodes: DataFrame, hot: list[int], tasks: int, percent: int) -> DataFrame:
     """(node, g): groups of other clusters whose prefix tokens hold enough of a node's, asked from the smaller cluster."""
 
@@ -233,29 +269,15 @@ def _ask_groups(postings: DataFrame, nodes: DataFrame, hot: list[int], tasks: in
         tile, node, n, cluster, g, side = tile[order], node[order], n[order], cluster[order], g[order], side[order]
         if not len(tile):  # fewer shared tokens than tasks
             return
-        starts = np.flatnonzero(np.r_[True, tile[1:] != tile[:-1]])
-        ends = np.r_[starts[1:], len(tile)]
         asked: list[tuple[np.ndarray, ...]] = []
-        held = 0
-        for a, b in zip(starts, ends, strict=True):
-            c = cluster[a:b]
-            change = np.flatnonzero(c[1:] != c[:-1]) + 1
-            begin = 0
-            for last in change:
-                # nodes begin..last are one cluster; those behind are in larger ones, or in as large ones with larger names
-                by_g = np.lexsort((n[a + last : b], g[a + last : b]))
-                tail_g, tail_n, tail_side = g[a + last : b][by_g], n[a + last : b][by_g], side[a + last : b][by_g]
-                first = np.flatnonzero(np.r_[True, tail_g[1:] != tail_g[:-1]])
-                low, high = tail_n[first], tail_n[np.r_[first[1:], len(tail_g)] - 1]
-                q = n[a + begin : a + last, None]
-                mine = side[a + begin : a + last, None]
-                i, j = np.nonzero((low * percent <= q * 100) & (high * 100 >= q * percent) & ((mine == 2) | (mine != tail_side[first])))
-                asked.append((node[a + begin : a + last][i], tail_g[first][j], n[a + begin : a + last][i], np.ones(len(i), _I)))
-                held += len(i)
-                begin = last
-            if held > 2_000_000:
+        held, full = 0, 2_000_000
+        for row, of in _asks(tile, n, cluster, g, side, percent):
+            asked.append((node[row], of, n[row], np.ones(len(row), _I)))
+            held += len(row)
+            if held > full:
                 asked = [_tally(asked)]
                 held = len(asked[0][0])
+                full = max(full, 2 * held)
         if held:
             found = _tally(asked)
             yield from packed.send(iter([(packed.mix(found[0]), list(found))]), names, tasks)

@@ -1,8 +1,10 @@
 """The near-duplicate join and the repeated passages against brute force."""
 
 import random
+import time
 from collections import defaultdict
 
+import numpy as np
 import pytest
 
 from gsample.llm import packed, sparse_suffixes, token_groups
@@ -115,6 +117,27 @@ def test_components_with_few_shared_tokens(spark, monkeypatch, shared, partition
         spark.conf.set("spark.sql.shuffle.partitions", before)
 
 
+@pytest.mark.parametrize("table", [1, 30, 1000])
+def test_groups_asked_against_brute_force(monkeypatch, table):
+    monkeypatch.setattr(token_groups, "TABLE_ROWS", table)
+    monkeypatch.setattr(token_groups, "PAIRS", 50)
+    rng = np.random.default_rng(table)
+    tile, cluster = np.sort(rng.integers(0, 12, 300)), rng.integers(0, 40, 300)
+    order = np.lexsort((cluster, tile))
+    tile, cluster, g, n = tile[order], cluster[order], rng.integers(-9, 9, 300), rng.integers(5, 12, 300)
+    side = np.where(tile % 3 == 0, 2, np.abs(g) % 2)
+    want = {(i, int(g[j])) for i in range(300) for j in range(i + 1, 300) if tile[i] == tile[j] and cluster[i] != cluster[j] and 5 * min(n[i], n[j]) >= 4 * max(n[i], n[j]) and (side[i] == 2 or side[i] != side[j])}
+    got = [(int(i), int(o)) for row, of in token_groups._asks(tile, n, cluster, g, side, 80) for i, o in zip(row, of, strict=True)]
+    assert set(got) == want and len(got) == len(want)
+
+
+def test_a_token_of_many_clusters_is_asked_in_little_time():
+    k = 20_000
+    began = time.thread_time()
+    asked = sum(len(row) for row, _ in token_groups._asks(np.zeros(k, int), np.full(k, 9), np.arange(k), np.arange(k) // 256, np.full(k, 2), 80))
+    assert asked == sum(-(-k // 256) - (i + 1) // 256 for i in range(k - 1)) and time.thread_time() - began < 12
+
+
 def spans_of(df, **more):
     found = defaultdict(list)
     for r in repeated_spans(df, **more).collect():
