@@ -157,3 +157,40 @@ def test_layout_of_more_vertices_than_a_screen_shows(spark):
     drawing = C.force_layout(g, rounds=1)
     assert drawing.count() == 20_108
     assert drawing.where("id < 8").agg({"size": "sum"}).first()[0] == 26
+
+
+@pytest.mark.parametrize("far", [1, 1 << 40])
+def test_triangles_by_bits_of_a_core(spark, monkeypatch, far):
+    """A core of several tiles, with triangles that have one, two or three vertices outside."""
+    monkeypatch.setattr(T, "LEAST", 8)
+    monkeypatch.setattr(T, "TILE", 8)
+    monkeypatch.setattr(T, "DENSE", 10**9)
+    draw = random.Random(5)
+    pairs = [(draw.randrange(60), draw.randrange(60)) for _ in range(900)] + [(draw.randrange(200), draw.randrange(200)) for _ in range(600)]
+    pairs = [(a * far, b * far) for a, b in pairs]
+    want = brute(pairs)
+    for core in (40, 65_536):
+        monkeypatch.setattr(T, "CORE", core)
+        g = small(spark, pairs)
+        ids = M.projection(g)._core()
+        assert 8 < len(ids) <= core and (core > 40 or len(ids) < len(want))
+        assert {r["id"]: r["triangles"] for r in M.triangles_per_vertex(g).collect()} == want
+        assert M.triangle_count(g).first()[0] == sum(want.values()) // 3
+
+
+def test_metrics_share_one_count_of_triangles(spark, monkeypatch):
+    """Three metrics ask for triangles; the lists are met once."""
+    met, meet = [], T._meet
+    monkeypatch.setattr(T, "_meet", lambda *a: met.append(a) or meet(*a))
+    g = small(spark, SHAPES["bridge"])
+    assert row(g)["triangles"] == 8 and len(met) == 1
+
+
+@pytest.mark.parametrize("edges", [1, 2_000_000])
+def test_components_by_blocks(spark, monkeypatch, edges):
+    monkeypatch.setattr(T, "EDGES", edges)
+    pairs = [(k, k + 1) for k in range(40, 90)] + [(3, 9), (9, 200), (200, 5), (7, 7), (90, 41), (41, 90)]
+    g = small(spark, pairs, vertices=[1000])
+    M.projection(g)
+    got = {r["id"]: r["component"] for r in M.weakly_connected_components(g).collect()}
+    assert got == {**dict.fromkeys(range(40, 91), 40), **dict.fromkeys((3, 5, 9, 200), 3), 7: 7, 1000: 1000}

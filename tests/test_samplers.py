@@ -96,3 +96,13 @@ def test_number_of_drawn_vertices(spark):
         drawn = spark.range(n).where(unit_random(1, "v", "id", source=source) <= s).count()
         assert abs(drawn - s * n) <= 4.5 * math.sqrt(n * s * (1 - s))
     assert spark.range(5).select(unit_random(7, "v", F.lit(12)).alias("u")).first()["u"] == 0.9679726150352508
+
+
+@pytest.mark.parametrize("share", [0.0, 0.25, 0.4, 1.0])
+def test_drawn_by_digits_is_drawn_by_number(spark, share):
+    from gsample.functions.randomness import drawn, unit_random
+
+    ids = spark.range(2000).withColumn("s", F.lit(share))
+    by_number = unit_random(7, "v", "id") <= share
+    wrong = ids.where((drawn(share, 7, "v", "id") != by_number) | ((F.col("s") < 1) & (drawn(F.col("s"), 7, "v", "id") != by_number)))
+    assert wrong.count() == 0

@@ -137,3 +137,21 @@ def test_walks_per_walker_on_a_given_table_equal_plain_python(spark, sf):
             assert used[key] <= edges[at[w], r["at"]]
         at[w] = r["at"]
     assert used
+
+
+@pytest.mark.parametrize("first", [1, 8])
+def test_a_walk_that_has_the_first_out_edges_of_hubs_is_the_same(spark, monkeypatch, first):
+    """Where the first ones do not last, the walk begins again with all of them."""
+    pairs = [(a, b) for a in range(60) for b in range(a + 1, 60)]
+    g = small(spark, pairs, vertices=range(60, 90))
+    part = W.prepare(g, 7, first=first)
+    whole = W.prepare(g, 7)
+    assert part.cut == {v for v in range(60) if 59 - v > 2 * first}
+    assert part.ranked.count() < whole.ranked.count()
+    assert part.ranked.join(whole.ranked, ["src", "rank", "edge_id", "dst", "dst_idx", "part"], "left_anti").count() == 0
+    monkeypatch.setattr(W, "FIRST", first)
+    got = W.random_walk(g, 0.5, walkers=6)
+    monkeypatch.setattr(W, "FIRST", 1000)
+    want = W.random_walk(g, 0.5, walkers=6)
+    ids = lambda x: sorted(tuple(r) for r in x.edges.select("src", "dst").collect())
+    assert ids(got) == ids(want) and got.vertices.count() == want.vertices.count()
