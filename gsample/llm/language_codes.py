@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import packed
+
 DIMENSIONS = 4096
 UNDETERMINED = "und"
 
@@ -128,12 +130,15 @@ def fit(docs: DataFrame, learn, id: str = "doc_id", text: str = "text", lang: st
             rows = [(k, f.astype(np.float16).tobytes()) for k, t in enumerate(batch.column(1).to_pylist()) if (f := features(t)) is not None]
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array([k for k, _ in rows], pa.int64())), pa.array([f for _, f in rows], pa.binary())], names=["l", "f"])
 
-    rows = sorted((r["l"], bytes(r["f"])) for r in few.select("l", "t").mapInArrow(run, "l string, f binary").collect())
-    if not rows:
+    rows = few.select("l", "t").mapInArrow(run, "l string, f binary").toArrow()
+    if not rows.num_rows:
         return None
-    languages = sorted({r[0] for r in rows})
-    x = np.stack([np.frombuffer(f, np.float16) for _, f in rows]).astype(np.float32)
-    return CodeModel(languages, x, np.array([languages.index(k) for k, _ in rows]))
+    # whole arrays: thousands of small objects leave the driver's Python with their memory
+    flat = packed.read(rows.column("f"), np.float16).reshape(-1, DIMENSIONS)
+    languages, y = np.unique(rows.column("l").to_numpy(zero_copy_only=False).astype(str), return_inverse=True)
+    del rows
+    order = np.lexsort((np.argsort(np.argsort(flat.view(f"S{2 * DIMENSIONS}").ravel(), kind="stable")), y))
+    return CodeModel(languages.tolist(), flat[order].astype(np.float32), y[order])
 
 
 def predict(docs: DataFrame, model: CodeModel | None, id: str = "doc_id", text: str = "text", close: float = 0.05) -> DataFrame:

@@ -51,6 +51,8 @@ SAMPLE = 16_000
 FREQUENT = 400_000
 #: Ids sent to the workers to pick documents, at most; more are joined by a shuffle.
 SENT_IDS = 2_000_000
+#: Edges between nodes or clusters that are joined on the driver (16 bytes each), at most; more are contracted by rounds.
+GATHERED = 500_000
 #: Rows that one task of the token exchange holds, about.
 TASK_ROWS = 1_500_000
 #: Tokens of a group, at most about: groups of very long documents have fewer nodes.
@@ -149,7 +151,7 @@ def _scan(docs: DataFrame, id: str, text: str, words: int, percent: int) -> tupl
 
 
 def _shared_postings(scan: DataFrame, hot: list[int]) -> DataFrame:
-    """(token, node, n, hub) of prefix tokens that more than one node holds; the hub is their smallest node.
+    """(token, node, n, hub, hot) of prefix tokens that more than one node holds; the hub is their smallest node.
 
     The tokens in ``hot`` are reduced by (token, node) and their hubs broadcast, so no task
     holds all nodes of one.
@@ -174,11 +176,11 @@ def _shared_postings(scan: DataFrame, hot: list[int]) -> DataFrame:
         yield from pa.table({"token": token[keep], "node": node[keep], "n": n[keep], "hub": hub[keep]}).to_batches(100_000)
 
     cold = rows.where(~F.col("token").isin(hot)) if hot else rows
-    found = cold.repartition(tasks, "token").mapInArrow(run, "token bigint, node bigint, n bigint, hub bigint")
+    found = cold.repartition(tasks, "token").mapInArrow(run, "token bigint, node bigint, n bigint, hub bigint").withColumn("hot", F.lit(False))
     if hot:
         held = rows.where(F.col("token").isin(hot)).distinct()
         hubs = held.groupBy("token").agg(F.min("node").alias("hub"), F.max("node").alias("last")).where("hub <> last").drop("last")
-        found = found.union(held.join(F.broadcast(hubs), "token").select("token", "node", "n", "hub"))
+        found = found.union(held.join(F.broadcast(hubs), "token").select("token", "node", "n", "hub", F.lit(True).alias("hot")))
     return materialize(found, "postings")
 
 
@@ -194,6 +196,7 @@ def _sets(docs: DataFrame, ids: DataFrame, id: str, text: str, words: int) -> Da
                 yield pa.RecordBatch.from_arrays([pa.array([d for d, _ in sets], pa.int64()), pa.array([len(s) for _, s in sets], pa.int64()), _lists([s for _, s in sets])], names=["node", "n", "tokens"])
 
     own = docs.select(F.col(id).cast("long").alias("id"), text)
+    ids = materialize(ids, "ids")  # counted and joined
     picked = own.join(F.broadcast(ids) if ids.count() <= SENT_IDS else ids, "id", "left_semi")
     return materialize(picked.select(text).mapInArrow(run, "node bigint, n bigint, tokens array<bigint>"), "tokens")
 
@@ -207,8 +210,8 @@ def _tally(parts: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, ...]:
     return node[first], g[first], n[first], np.add.reduceat(times, first)
 
 
-def _tiles(postings: DataFrame, hot: list[int]) -> DataFrame:
-    """The postings with the ``tile`` at which they meet others, and their ``side`` of it.
+def _tiles(postings: DataFrame, hot: bool) -> DataFrame:
+    """The postings, some of them of ``hot`` tokens or none, with the ``tile`` at which they meet others, and their ``side`` of it.
 
     A token is one tile.  The nodes of a hot token are cut into chunks by group, and each
     pair of chunks is a tile of its own, on whose sides 0 and 1 they stand (side 2: a tile
@@ -217,7 +220,7 @@ def _tiles(postings: DataFrame, hot: list[int]) -> DataFrame:
     whole = F.col("token").alias("tile"), F.lit(2).cast("tinyint").alias("side")
     if not hot:
         return postings.select("*", *whole)
-    few = F.col("token").isin(hot)
+    few = F.col("hot")  # marked in the table: as a list its tokens would be in every plan
     chunks = postings.where(few).groupBy("token").agg(F.ceil(F.count("*") / HOT_ROWS).cast("int").alias("chunks"))  # a row per hot token
     own = postings.where(few).join(F.broadcast(chunks), "token").withColumn("mine", F.pmod(F.xxhash64("g"), F.col("chunks")).cast("int"))
     met = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
@@ -260,7 +263,7 @@ def _asks(tile: np.ndarray, n: np.ndarray, cluster: np.ndarray, g: np.ndarray, s
             yield at + i, g[by[first[j]]]
 
 
-def _ask_groups(postings: DataFrame, nodes: DataFrame, hot: list[int], tasks: int, percent: int) -> DataFrame:
+def _ask_groups(postings: DataFrame, nodes: DataFrame, hot: bool, tasks: int, percent: int) -> DataFrame:
     """(node, g): groups of other clusters whose prefix tokens hold enough of a node's, asked from the smaller cluster."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -288,7 +291,7 @@ def _ask_groups(postings: DataFrame, nodes: DataFrame, hot: list[int], tasks: in
         return pa.table({"node": node[some], "g": g[some]})
 
     names = ["node", "g", "n", "times"]
-    joined = postings.select("token", "node", "n").join(nodes.select("node", "cluster", "size", "g"), "node")
+    joined = postings.select("token", "node", "n", "hot").join(nodes.select("node", "cluster", "size", "g"), "node")
     joined = materialize(joined, "joined") if hot else joined
     rows = _tiles(joined, hot).select("tile", "node", "n", "cluster", "size", "g", "side").repartition(tasks, "tile")
     return packed.each_bucket(rows.mapInArrow(run, packed.schema(names)), enough, "node bigint, g bigint")
@@ -382,7 +385,7 @@ def similar_components(docs: DataFrame, id: str = "doc_id", text: str = "text",
     a, b = sets.select("node", F.col("n").alias("n_a"), F.col("tokens").alias("a")), sets.select(F.col("node").alias("hub"), F.col("n").alias("n_b"), F.col("tokens").alias("b"))
     tested = join_unique(likely, b, "hub").join(a, "node").withColumn("both", F.size(F.array_intersect("a", "b")))
     links = tested.where(f"both * 100 >= (n_a + n_b - both) * {percent}").select(F.col("node").alias("src"), F.col("hub").alias("dst"))
-    stars = component_stars(links)
+    stars = component_stars(links, gathered=GATHERED)
     nodes = known.join(stars.withColumnRenamed("id", "node").withColumnRenamed("component", "cluster"), "node", "left").withColumn("cluster", F.coalesce("cluster", "node"))
     nodes = materialize(nodes, "clusters")
     nodes = join_unique(nodes, nodes.groupBy("cluster").agg(F.count("*").alias("size")), "cluster").join(best.select("node", "hub"), "node", "left")
@@ -390,10 +393,10 @@ def similar_components(docs: DataFrame, id: str = "doc_id", text: str = "text",
     bases = nodes.groupBy("base").agg(F.greatest(F.ceil(F.count("*") / GROUP), F.ceil(F.sum("n") / GROUP_TOKENS)).alias("chunks"))
     g = F.xxhash64("base", F.pmod(F.xxhash64("node"), F.col("chunks")))
     nodes = materialize(join_unique(nodes, bases, "base").select("node", "n", "cluster", "size", g.alias("g")), "groups")
-    asked = materialize(_ask_groups(postings, nodes, hot, tasks, percent), "asked")
+    asked = materialize(_ask_groups(postings, nodes, bool(hot), tasks, percent), "asked")
     opened = nodes.join(asked.select("g").distinct(), "g", "left_semi").select("node").union(asked.select("node")).distinct()
     more = _sets(docs, opened.join(first, "node").select("id").distinct(), id, text, words)
-    bridges = component_stars(_open_groups(asked, nodes, more, percent))
+    bridges = component_stars(_open_groups(asked, nodes, more, percent), gathered=GATHERED)
     final = join_unique(nodes, bridges.withColumnRenamed("id", "cluster"), "cluster").select("node", F.coalesce("component", "cluster").alias("key"))
     # the smallest id of a component by its nodes, then of every row by its node
     keyed = materialize(first.join(final, "node", "left").withColumn("key", F.coalesce("key", "node")), "keyed")

@@ -10,6 +10,7 @@ import pytest
 from gsample.llm import packed, sparse_suffixes, token_groups
 from gsample.llm.sparse_suffixes import cut, remove_spans, repeated_spans
 from gsample.llm.token_groups import similar_components
+from gsample.operators.components import component_stars, smallest_reached
 from tests.llm.conftest import SCHEMA, sentence
 
 
@@ -214,3 +215,37 @@ def test_packed_rows_keep_every_number():
     a, b = packed.read(table.column("a"), np.uint64), packed.read(table.column("b"), np.int32)
     assert sorted(a.tolist()) == list(range(1000)) and (b == a * 3).all() and table.num_rows == 7
     assert SCHEMA
+
+
+def test_components_gathered_and_by_rounds(many, monkeypatch):
+    monkeypatch.setattr(token_groups, "GATHERED", 0)
+    check(many[1], many[0])
+
+
+def test_smallest_reached_against_search():
+    rng = np.random.default_rng(5)
+    for ids, n in ((10, 4), (60, 40), (400, 390), (5, 200)):
+        a, b = rng.integers(-ids, ids, (2, n))
+        low = {i: i for i in [*a.tolist(), *b.tolist()]}
+        while any(low[i] != low[j] for i, j in zip(a.tolist(), b.tolist(), strict=True)):
+            for i, j in zip(a.tolist(), b.tolist(), strict=True):
+                low[i] = low[j] = min(low[i], low[j])
+        got = dict(zip(*(c.tolist() for c in smallest_reached(a, b)), strict=True))
+        assert got == low
+    chain = rng.permutation(3000)
+    assert set(smallest_reached(chain[:-1], chain[1:])[1].tolist()) == {0}
+
+
+def test_small_components_take_few_jobs(spark, many):
+    """Rounds over a few edges had as many tasks as shuffle partitions each, and the driver keeps an account of every task."""
+    jobs = lambda: spark.sparkContext._jsc.sc().dagScheduler().numTotalJobs()
+    edges = spark.createDataFrame([(k, k + 1) for k in range(40)] + [(7, 7), (None, 3), (50, 52), (51, 52)], "src bigint, dst bigint")
+    before = jobs()
+    few = {tuple(r) for r in component_stars(edges, gathered=100).collect()}
+    used = jobs() - before
+    assert few == {(k, 0) for k in range(1, 41)} | {(51, 50), (52, 50)} == {tuple(r) for r in component_stars(edges, gathered=10).collect()}
+    assert used <= 8
+    assert component_stars(edges.where("false"), gathered=100).isEmpty() and component_stars(edges.where("src = dst"), gathered=100).isEmpty()
+    before = jobs()
+    similar_components(many[1]).collect()
+    assert jobs() - before <= 160
