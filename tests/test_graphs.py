@@ -71,3 +71,15 @@ def test_nearest_items_beyond_any_bound_on_vectors(spark, tmp_path, monkeypatch)
         cosine[np.isnan(cosine)] = 2.0
         cosine[k] = -2.0
         assert got[ids[k]] == set(ids[np.lexsort((ids, -cosine))[:10]].tolist())
+
+
+def test_the_drawing_leaves_no_hot_line_out(spark, hot):
+    """A line of 60 documents is a relation in ``layout_doc_overlap`` too."""
+    got = {r["id"]: r["size"] for r in workloads.QUERIES["layout_doc_overlap"](spark, hot).collect()}
+    docs = spark.read.parquet(f"{hot}/documents.parquet").select("doc_id")
+    kept = {r[0] for r in docs.where(workloads.unit_random(workloads.SEED, "v", "doc_id") <= workloads.SHARE).collect()}
+    want = {}
+    for a, b in WANT:
+        if a in kept and b in kept:
+            want[a], want[b] = want.get(a, 0) + 1, want.get(b, 0) + 1
+    assert len(want) > 10 and got == want
