@@ -1,4 +1,5 @@
 import glob
+import inspect
 
 import numpy as np
 import pyarrow as pa
@@ -6,6 +7,7 @@ import pyarrow.parquet as pq
 import pytest
 
 from gsample import workloads
+from gsample.operators import compare
 from gsample.sources import graphs
 from gsample.sources.graphs import doc_overlap_all, doc_overlap_stars
 
@@ -83,3 +85,12 @@ def test_the_drawing_leaves_no_hot_line_out(spark, hot):
         if a in kept and b in kept:
             want[a], want[b] = want.get(a, 0) + 1, want.get(b, 0) + 1
     assert len(want) > 10 and got == want
+
+
+def test_the_drawing_takes_all_rounds(spark, hot, monkeypatch):
+    """As many rounds as a drawing has where none are named."""
+    asked, layout = [], compare.force_layout
+    monkeypatch.setattr(compare, "force_layout", lambda g, *a, **b: asked.append((a, b)) or layout(g, rounds=1))
+    for name in ("layout_doc_overlap", "layout_doc_overlap_all"):
+        workloads.QUERIES[name](spark, hot)
+    assert asked == [((), {})] * 2 and inspect.signature(layout).parameters["rounds"].default == 20
