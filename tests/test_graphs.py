@@ -94,3 +94,17 @@ def test_the_drawing_takes_all_rounds(spark, hot, monkeypatch):
     for name in ("layout_doc_overlap", "layout_doc_overlap_all"):
         workloads.QUERIES[name](spark, hot)
     assert asked == [((), {})] * 2 and inspect.signature(layout).parameters["rounds"].default == 20
+
+
+@pytest.mark.parametrize("metric", ["triangles"])
+def test_sql_of_hot_lines_without_their_pairs(spark, hot, metric, monkeypatch):
+    """These metrics are told by the lines; the edges, which grow with the square of a line's documents, are not made."""
+
+    def made(*a):
+        raise AssertionError("edges were asked for")
+
+    monkeypatch.setattr(graphs, "_line_pairs", made)
+    db = pytest.importorskip("duckdb").connect()
+    db.execute(f"CREATE VIEW documents AS SELECT * FROM read_parquet({glob.glob(f'{hot}/documents.parquet/*.parquet')})")
+    name = f"metric_{metric}_doc_overlap_all"
+    assert workloads.QUERIES[name](spark, hot).first()[0] == pytest.approx(db.execute(workloads.ORACLES[name]).fetchone()[0], abs=1e-9)

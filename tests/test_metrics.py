@@ -5,6 +5,7 @@ import random
 import pytest
 
 from gsample.operators import compare as C
+from gsample.operators import cover as V
 from gsample.operators import metrics as M
 from gsample.operators import samplers as S
 from gsample.operators import triangles as T
@@ -194,3 +195,26 @@ def test_components_by_blocks(spark, monkeypatch, edges):
     M.projection(g)
     got = {r["id"]: r["component"] for r in M.weakly_connected_components(g).collect()}
     assert got == {**dict.fromkeys(range(40, 91), 40), **dict.fromkeys((3, 5, 9, 200), 3), 7: 7, 1000: 1000}
+
+
+@pytest.mark.parametrize("hot,classes", [(4096, 8192), (4096, 9), (2, 8192), (0, 8192)])
+def test_metrics_by_groups_equal_those_by_edges(spark, monkeypatch, hot, classes):
+    """Groups that overlap, hot or not, with bounds on hot groups and classes that leave more or less to the rest; no edge is asked for."""
+    for name, value in {"LEAST": 8, "HOT": hot, "CLASSES": classes, "TILE": 4, "COLUMNS": 5}.items():
+        monkeypatch.setattr(V, name, value)
+    draw = random.Random(11)
+    groups = [draw.sample(range(40), n) for n in (18, 15, 12, 9, 9)] + [draw.sample(range(70), draw.randrange(1, 6)) for _ in range(90)]
+    members = spark.createDataFrame([(d, f"g{k}") for k, g in enumerate(groups) for d in g], "id bigint, line string")
+    pairs = {(a, b) for g in groups for a in g for b in g if a < b}
+    vertices = spark.range(80).selectExpr("id")
+    seen = []
+    g = V.CoverGraph(vertices, members, lambda: seen.append(1))
+    p = M.projection(g)
+    assert (p.of is None) == (hot == 0) and p.rest.count() <= len(pairs) and (hot == 0 or p.rest.count() < len(pairs))
+    want = brute(pairs)
+    assert {r["id"]: r["triangles"] for r in M.triangles_per_vertex(g).collect()} == want
+    assert M.triangle_count(g).first()[0] == sum(want.values()) // 3
+    full = measure(range(80), [(k, a, b) for k, (a, b) in enumerate(pairs)])
+    got = {m: M.METRICS[m](g).first()[0] for m in ("global_clustering", "local_clustering", "wcc")}
+    close(got, {m: full[m] for m in got})
+    assert not seen
