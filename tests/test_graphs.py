@@ -96,7 +96,7 @@ def test_the_drawing_takes_all_rounds(spark, hot, monkeypatch):
     assert asked == [((), {})] * 2 and inspect.signature(layout).parameters["rounds"].default == 20
 
 
-@pytest.mark.parametrize("metric", ["triangles", "global_clustering"])
+@pytest.mark.parametrize("metric", ["triangles", "global_clustering", "local_clustering"])
 def test_sql_of_hot_lines_without_their_pairs(spark, hot, metric, monkeypatch):
     """These metrics are told by the lines; the edges, which grow with the square of a line's documents, are not made."""
 
