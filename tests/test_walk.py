@@ -155,3 +155,21 @@ def test_a_walk_that_has_the_first_out_edges_of_hubs_is_the_same(spark, monkeypa
     want = W.random_walk(g, 0.5, walkers=6)
     ids = lambda x: sorted(tuple(r) for r in x.edges.select("src", "dst").collect())
     assert ids(got) == ids(want) and got.vertices.count() == want.vertices.count()
+
+
+def test_a_held_frontier_equals_a_joined_one(spark, sf, monkeypatch):
+    """Loops, parallel edges and parts of the graph without an edge; the held one writes no table for every few supersteps."""
+    loose = small(spark, [(a, (a * a + 3 * a) % 40) for a in range(40)] + [(a, a + 1) for a in range(39)] * 2 + [(5, 5)], vertices=range(40, 60))
+    written, materialize = [], W.materialize
+    monkeypatch.setattr(W, "materialize", lambda *a: written.append(a) or materialize(*a))
+    for g, s, dims in ((GRAPHS["similar_items"](spark, sf), 0.1, 32), (loose, 0.6, 3), (loose, 0.01, 3), (small(spark, [], vertices=range(3)), 0.5, 2)):
+        ids = lambda x: (sorted(r["edge_id"] for r in x.edges.collect()), sorted(r["id"] for r in x.vertices.collect()))
+        written.clear()
+        monkeypatch.setattr(W, "HELD", 2_000_000)
+        held = ids(W.frontier(g, s, 7, dims))
+        assert len(written) == 1
+        monkeypatch.setattr(W, "HELD", -1)
+        assert ids(W.frontier(g, s, 7, dims)) == held
+    monkeypatch.setattr(W, "HELD", 2_000_000)
+    with pytest.raises(RuntimeError, match="fewer than"):
+        W.frontier(loose, 0.9, 7, 2, max_supersteps=3)
