@@ -7,7 +7,8 @@ import pyarrow.parquet as pq
 import pytest
 
 from gsample import workloads
-from gsample.operators import compare
+from gsample.operators import compare, samplers
+from gsample.operators.model import PropertyGraph
 from gsample.sources import graphs
 from gsample.sources.graphs import doc_overlap_all, doc_overlap_stars
 
@@ -108,3 +109,18 @@ def test_sql_of_hot_lines_without_their_pairs(spark, hot, metric, monkeypatch):
     db.execute(f"CREATE VIEW documents AS SELECT * FROM read_parquet({glob.glob(f'{hot}/documents.parquet/*.parquet')})")
     name = f"metric_{metric}_doc_overlap_all"
     assert workloads.QUERIES[name](spark, hot).first()[0] == pytest.approx(db.execute(workloads.ORACLES[name]).fetchone()[0], abs=1e-9)
+
+
+def test_the_drawing_makes_no_pairs_of_a_line(spark, hot, monkeypatch):
+    """Neither of the original nor of the sample; places are those that the pairs lead to."""
+    g, layout = doc_overlap_all(spark, hot), compare.force_layout
+    by_edges = PropertyGraph(g.vertices.select("id"), g.edges)
+    want = {r["id"]: (r["x"], r["y"], r["size"], r["shade"]) for r in compare.visual_frame(layout(by_edges, rounds=2), samplers.random_vertex(by_edges, workloads.SHARE, workloads.SEED)).collect()}
+    monkeypatch.setattr(compare, "force_layout", lambda g: layout(g, rounds=2))
+
+    def made(*a):
+        raise AssertionError("edges were asked for")
+
+    monkeypatch.setattr(graphs, "_line_pairs", made)
+    got = {r["id"]: (r["x"], r["y"], r["size"], r["shade"]) for r in workloads.QUERIES["layout_doc_overlap_all"](spark, hot).collect()}
+    assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k], abs=1e-9) for k in want)

@@ -2,10 +2,12 @@ import itertools
 import math
 import random
 
+import numpy as np
 import pytest
 
 from gsample.operators import compare as C
 from gsample.operators import cover as V
+from gsample.operators import forces
 from gsample.operators import metrics as M
 from gsample.operators import samplers as S
 from gsample.operators import triangles as T
@@ -218,3 +220,47 @@ def test_metrics_by_groups_equal_those_by_edges(spark, monkeypatch, hot, classes
     got = {m: M.METRICS[m](g).first()[0] for m in ("global_clustering", "local_clustering", "wcc")}
     close(got, {m: full[m] for m in got})
     assert not seen
+
+
+def test_forces_by_packs_equal_all_pairs(spark, monkeypatch):
+    """Cells with one vertex and crowded ones, on the border and on each other, in packs that cut them."""
+    monkeypatch.setattr(forces, "PAIRS", 50)
+    draw = np.random.default_rng(5)
+    xy = np.clip(np.r_[draw.random((150, 2)), 0.5 + 0.02 * draw.standard_normal((80, 2)), [[0.25, 1.0]] * 9, draw.standard_normal((30, 2))], 0, 1)
+    n, ideal = len(xy), 1 / len(xy) ** 0.5
+    at = spark.createDataFrame([(k, *map(float, p)) for k, p in enumerate(xy)], "id bigint, x double, y double")
+    gap = xy[:, None] - xy[None]
+    d = np.maximum(np.sqrt((gap**2).sum(2)), 1e-4)
+    cell = np.floor(xy / ideal)
+    near = (np.abs(cell[:, None] - cell[None]) <= 1).all(2)
+    push = (gap * (ideal**2 / d**2 * near)[..., None]).sum(1)
+    groups = [[k for k in range(n) if k % 7 == r or k % 11 == r] for r in range(4)] + [[1, 2, 200], [3, 250]]
+    linked = np.zeros((n, n), bool)
+    for g in groups:
+        linked[np.ix_(g, g)] = True
+    pull = (-gap * (d / ideal * linked)[..., None]).sum(1)
+    monkeypatch.setattr(V, "LEAST", 8)
+    members = spark.createDataFrame([(k, f"g{i}") for i, g in enumerate(groups) for k in g], "id bigint, line string")
+    p = M.projection(V.CoverGraph(at.select("id"), members, lambda: None))
+    assert p.of is not None and p.rest.count() > 0
+    for pack, crowd in ((2048, 16), (16, 3), (16, 10**6)):
+        monkeypatch.setattr(forces, "PACK", pack)
+        monkeypatch.setattr(forces, "CROWD", crowd)
+        for got, want in ((forces.pushes(at, n, ideal), push), (p.pulls(at, n, ideal), pull)):
+            sums = np.zeros((n, 2))
+            for r in got.collect():
+                sums[r["id"]] += r["fx"], r["fy"]
+            assert np.allclose(sums, want, rtol=1e-9, atol=1e-9)
+
+
+def test_a_drawing_by_groups_equals_one_by_edges(spark, monkeypatch):
+    monkeypatch.setattr(V, "LEAST", 8)
+    draw = random.Random(2)
+    groups = [draw.sample(range(50), n) for n in (14, 11, 3, 2)]
+    pairs = sorted({(a, b) for g in groups for a in g for b in g if a < b})
+    members = spark.createDataFrame([(d, f"g{k}") for k, g in enumerate(groups) for d in g], "id bigint, line string")
+    listed = small(spark, pairs, vertices=range(60))
+    given = V.CoverGraph(listed.vertices, members, lambda: None)
+    for a, b in ((C.force_layout(listed, 2), C.force_layout(given, 2)), (M.degrees(S.random_vertex(listed, 0.5)), M.degrees(S.random_vertex(given, 0.5)))):
+        x, y = ({r["id"]: tuple(r)[1:] for r in df.collect()} for df in (a, b))
+        assert x.keys() == y.keys() and all(x[k] == pytest.approx(y[k], abs=1e-9) for k in x)
